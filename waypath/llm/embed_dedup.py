@@ -13,9 +13,9 @@ from .common import components, local_components, paired_blocks, written
 
 LEAST = 0.93
 #: Width of the bound in standard errors of the estimate; at 6 a true link is missed with a chance of some 1e-9.
-CONFIDENCE, BLOCK = 6.0, 1024
+CONFIDENCE, BLOCK = 6.0, 2048
 #: Centres are taken from at most this many vectors; a centre for about so many distinct vectors.
-CENTRES, PER_CENTRE = 512, 2500
+CENTRES, PER_CENTRE = 512, 20_000
 _SEED = 1234567
 
 
@@ -70,7 +70,9 @@ def near_vectors(vectors: DataFrame, least: float = LEAST, id_col: str = "vec_id
     every null id is a row of its own without links to it by name.
     """
     spark = vectors.sparkSession
-    base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).cast("array<double>").alias("e"), F.col(label).alias("label"))
+    held = dict(vectors.dtypes)[vector]
+    held = held if held == "array<float>" else "array<double>"  # single precision travels as it is; sums are in double
+    base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).cast(held).alias("e"), F.col(label).alias("label"))
     base = base.withColumn("ok", usable("e", "label"))
     groups = written(base.where("ok").groupBy("label", "e").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("w")).withColumn("id", F.xxhash64("label", "e")), "vectors")
     n = groups.count()
@@ -91,7 +93,7 @@ def near_vectors(vectors: DataFrame, least: float = LEAST, id_col: str = "vec_id
                 yield pd.DataFrame({"dim": d, "cell": j.astype("int32"), "label": out["label"], "own": own, "id": out["id"], "rep": out["rep"], "w": out["w"], "e": out["e"]})
 
     kind = dict(groups.dtypes)["label"]
-    placed = written(groups.select("label", "id", "rep", "w", "e").mapInPandas(place, f"dim int, cell int, label {kind}, own boolean, id long, rep long, w long, e array<double>"), "cells")
+    placed = written(groups.select("label", "id", "rep", "w", "e").mapInPandas(place, f"dim int, cell int, label {kind}, own boolean, id long, rep long, w long, e {held}"), "cells")
     keys = ["label", "dim", "cell"]
     homes = placed.where("own").drop("own")
     probers = placed.drop("own")
