@@ -19,7 +19,7 @@ from .streaming import events as ev
 from .tables import table, written
 
 # Settings of the registered workloads; the operators take any.
-THETA, WIDTH, MINSUP = 0.95, 2, 10
+THETA, WIDTH, MINSUP, MINSHARE = 0.95, 2, 10, 0.075
 N_PAIRS, ROUNDS = 6, 8
 
 QUERIES: dict = {}
@@ -35,8 +35,8 @@ def query(sql: str | None = None):
     return add
 
 
-def r6(c):
-    return F.round(c, 6)
+def r9(c):
+    return F.round(c, 9)
 
 
 PBC = "SELECT l_partkey AS obj, o_custkey AS feat, sum(l_quantity) AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2"
@@ -114,40 +114,40 @@ def pair_sample(spark, sf_dir):
 
 # ---------------------------------------------------------------- distances and hammocks
 
-@query(PAIRS + f" SELECT a, b, width, round(dist, 6) AS dist FROM d WHERE dist <= {THETA} + 1e-12")
+@query(PAIRS + f" SELECT a, b, width, round(dist, 9) AS dist FROM d WHERE dist <= {THETA} + 1e-12")
 def hammock_pairs_theta(spark, sf_dir):
-    return distance.hammock_pairs(_pbc(spark, sf_dir), theta=THETA).withColumn("dist", r6("dist"))
+    return distance.hammock_pairs(_pbc(spark, sf_dir), theta=THETA).withColumn("dist", r9("dist"))
 
 
-@query(PAIRS + f" SELECT a, b, width, round(dist, 6) AS dist FROM d WHERE dist <= {THETA} + 1e-12")
+@query(PAIRS + f" SELECT a, b, width, round(dist, 9) AS dist FROM d WHERE dist <= {THETA} + 1e-12")
 def size_filtered_pairs(spark, sf_dir):
     """The same pairs without the size filter: it loses nothing."""
-    return distance.hammock_pairs(_pbc(spark, sf_dir), theta=THETA, size_filter=False).withColumn("dist", r6("dist"))
+    return distance.hammock_pairs(_pbc(spark, sf_dir), theta=THETA, size_filter=False).withColumn("dist", r9("dist"))
 
 
-@query(PAIRS + " SELECT a, b, width, round(dist, 6) AS dist FROM d WHERE width >= 3")
+@query(PAIRS + " SELECT a, b, width, round(dist, 9) AS dist FROM d WHERE width >= 3")
 def hammock_pairs_width(spark, sf_dir):
-    return distance.hammock_pairs(_pbc(spark, sf_dir), width=3).withColumn("dist", r6("dist"))
+    return distance.hammock_pairs(_pbc(spark, sf_dir), width=3).withColumn("dist", r9("dist"))
 
 
-@query(PAIRS + " SELECT a, b, width, round(sdist, 6) AS dist FROM d WHERE width >= 3")
+@query(PAIRS + " SELECT a, b, width, round(sdist, 9) AS dist FROM d WHERE width >= 3")
 def soergel_unweighted(spark, sf_dir):
     ds = _pbc(spark, sf_dir)
     p = distance.hammock_pairs(ds, width=3)
-    return distance.pair_distance(ds, p, weighted=False).withColumn("dist", r6("dist"))
+    return distance.pair_distance(ds, p, weighted=False).withColumn("dist", r9("dist"))
 
 
-@query(PAIRS + " SELECT a, b, round(1.0 - sdist, 6) AS jaccard, round(dist, 6) AS soergel, width >= 4 AS wide, dist <= 0.93 + 1e-12 AS near FROM d WHERE width >= 3")
+@query(PAIRS + " SELECT a, b, round(1.0 - sdist, 9) AS jaccard, round(dist, 9) AS soergel, width >= 4 AS wide, dist <= 0.93 + 1e-12 AS near FROM d WHERE width >= 3")
 def measures_by_arrays(spark, sf_dir):
     """The column builders on profiles of given pairs."""
     ds = _pbc(spark, sf_dir)
     p = written(ds.profiles().select("obj", "feats", "vals"), "profiles")
     j = distance.hammock_pairs(ds, width=3).select("a", "b").join(p.toDF("a", "fa", "va"), "a").join(p.toDF("b", "fb", "vb"), "b")
     d = C.soergel("fa", "va", "fb", "vb")
-    return j.select("a", "b", r6(C.jaccard("fa", "fb")).alias("jaccard"), r6(d).alias("soergel"), C.is_hammock_width("fa", "fb", 4).alias("wide"), C.is_hammock_theta(d, 0.93).alias("near"))
+    return j.select("a", "b", r9(C.jaccard("fa", "fb")).alias("jaccard"), r9(d).alias("soergel"), C.is_hammock_width("fa", "fb", 4).alias("wide"), C.is_hammock_theta(d, 0.93).alias("near"))
 
 
-@query(PAIRS + " SELECT a, b, round(1.0 - sdist, 6) AS jaccard, round(dist, 6) AS soergel FROM d WHERE width >= 4")
+@query(PAIRS + " SELECT a, b, round(1.0 - sdist, 9) AS jaccard, round(dist, 9) AS soergel FROM d WHERE width >= 4")
 def sql_hammock(spark, sf_dir):
     """The SQL surface: a common table expression, EXISTS and registered functions."""
     register(spark)
@@ -155,7 +155,7 @@ def sql_hammock(spark, sf_dir):
     written(ds.profiles().select("obj", "feats", "vals"), "profiles").createOrReplaceTempView("waypath_profiles")
     distance.hammock_pairs(ds, width=4).select("a", "b").createOrReplaceTempView("waypath_pairs")
     return spark.sql("""WITH p AS (SELECT obj, feats, vals FROM waypath_profiles q WHERE EXISTS (SELECT 1 FROM waypath_pairs w WHERE w.a = q.obj OR w.b = q.obj))
-        SELECT a, b, round(jaccard(x.feats, y.feats), 6) AS jaccard, round(soergel(x.feats, x.vals, y.feats, y.vals), 6) AS soergel
+        SELECT a, b, round(jaccard(x.feats, y.feats), 9) AS jaccard, round(soergel(x.feats, x.vals, y.feats, y.vals), 9) AS soergel
         FROM waypath_pairs JOIN p x ON a = x.obj JOIN p y ON b = y.obj""")
 
 
@@ -200,22 +200,22 @@ def _audit_set(spark, sf_dir):
     return ds, cut.truncate(ds, 40), written(distance.hammock_pairs(ds, width=3).select("a", "b"), "pairs")
 
 
-@query(MIXED + " SELECT a, b, round(CASE WHEN den <= 0 THEN 0 ELSE num / den END, 6) AS mixed FROM v")
+@query(MIXED + " SELECT a, b, round(CASE WHEN den <= 0 THEN 0 ELSE num / den END, 9) AS mixed FROM v")
 def mixed_soergel(spark, sf_dir):
     ds, td, p = _audit_set(spark, sf_dir)
-    return cut.mixed_distance(td, p).withColumn("mixed", r6("mixed"))
+    return cut.mixed_distance(td, p).withColumn("mixed", r9("mixed"))
 
 
-@query(MIXED + " SELECT a, b, round(CASE WHEN ud <= 0 THEN 0 ELSE un::DOUBLE / ud END, 6) AS mixed FROM v")
+@query(MIXED + " SELECT a, b, round(CASE WHEN ud <= 0 THEN 0 ELSE un::DOUBLE / ud END, 9) AS mixed FROM v")
 def mixed_soergel_sets(spark, sf_dir):
     ds, td, p = _audit_set(spark, sf_dir)
-    return cut.mixed_distance(td, p, weighted=False).withColumn("mixed", r6("mixed"))
+    return cut.mixed_distance(td, p, weighted=False).withColumn("mixed", r9("mixed"))
 
 
-@query(MIXED + " SELECT count(*) AS n_pairs, round(max(CASE WHEN den <= 0 THEN 0 ELSE num / den END - dist), 6) AS worst FROM v")
+@query(MIXED + " SELECT count(*) AS n_pairs, round(max(CASE WHEN den <= 0 THEN 0 ELSE num / den END - dist), 9) AS worst FROM v")
 def admissible_audit(spark, sf_dir):
     ds, td, p = _audit_set(spark, sf_dir)
-    return measures.audit_admissible(td, ds, p).withColumn("worst", r6("worst"))
+    return measures.audit_admissible(td, ds, p).withColumn("worst", r9("worst"))
 
 
 @query()
@@ -223,7 +223,7 @@ def admissible_tight(spark, sf_dir):
     """Tighter bounds: real weights of kept features, and the least count of dropped ones."""
     ds, td, p = _audit_set(spark, sf_dir)
     t = cut.mixed_distance(td, p, t_mode="min", tight=True)
-    return t.join(distance.pair_distance(ds, p), ["a", "b"]).agg(F.count(F.lit(1)).alias("n_pairs"), F.round(F.max(F.col("mixed") - F.col("dist")), 6).alias("worst"))
+    return t.join(distance.pair_distance(ds, p), ["a", "b"]).agg(F.count(F.lit(1)).alias("n_pairs"), F.round(F.max(F.col("mixed") - F.col("dist")), 9).alias("worst"))
 
 
 # ---------------------------------------------------------------- lattice
@@ -237,7 +237,7 @@ def concepts(spark, sf_dir):
 def _lattice(spark, sf_dir, least=None):
     """Parts by suppliers with a support that leaves some hundreds of concepts."""
     ds = carriers.parts_by_suppliers(spark, sf_dir).kept()
-    return ds, lattice.build_concepts(ds, 0.3 if least is None else least)
+    return ds, lattice.build_concepts(ds, MINSHARE if least is None else least)
 
 
 @query()
@@ -273,13 +273,13 @@ def longest_concepts(spark, sf_dir):
 # ---------------------------------------------------------------- successors
 
 KNN = PAIRS + """, w AS (SELECT a, b, dist FROM d UNION ALL SELECT b, a, dist FROM d), r AS (SELECT *, row_number() OVER (PARTITION BY a ORDER BY dist, b) AS rnk FROM w)
-SELECT a AS obj, b AS nbr, round(dist, 6) AS dist, rnk FROM r WHERE rnk <= 5"""
+SELECT a AS obj, b AS nbr, round(dist, 9) AS dist, rnk FROM r WHERE rnk <= 5"""
 
 
 @query(KNN)
 def knn_topb(spark, sf_dir):
     ds = _pbc(spark, sf_dir).kept()
-    return successors.exact_knn(ds, ds.rel.select("obj").distinct(), 5).withColumn("dist", r6("dist"))
+    return successors.exact_knn(ds, ds.rel.select("obj").distinct(), 5).withColumn("dist", r9("dist"))
 
 
 def _frontier(ds, n=5):
@@ -290,7 +290,7 @@ def _frontier(ds, n=5):
 @query()
 def cover_tree_neighbours(spark, sf_dir):
     ds = _pbc(spark, sf_dir).kept()
-    return successors.CoverTreeIndex.build(ds, levels=2).knn(_frontier(ds), 5, THETA).withColumn("dist", r6("dist"))
+    return successors.CoverTreeIndex.build(ds, levels=2).knn(_frontier(ds), 5, THETA).withColumn("dist", r9("dist"))
 
 
 @query()
@@ -301,25 +301,25 @@ def cover_tree_check(spark, sf_dir):
 @query()
 def lattice_neighbours(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna(lat, ds, _frontier(ds), 5).withColumn("jaccard", r6("jaccard"))
+    return successors.nna(lat, ds, _frontier(ds), 5).withColumn("jaccard", r9("jaccard"))
 
 
 @query()
 def kth_lattice_neighbour(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna_kth(lat, ds, _frontier(ds), 3).withColumn("jaccard", r6("jaccard"))
+    return successors.nna_kth(lat, ds, _frontier(ds), 3).withColumn("jaccard", r9("jaccard"))
 
 
 @query()
 def lattice_cliques(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna_cliques(lat, ds, _frontier(ds), 3, 20).withColumn("score", r6("score"))
+    return successors.nna_cliques(lat, ds, _frontier(ds), 3, 20).withColumn("score", r9("score"))
 
 
 @query()
 def near_cliques(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.verify_cliques(ds, successors.kcnn(lat, ds, _frontier(ds), 3, 20), theta=THETA).withColumn("score", r6("score"))
+    return successors.verify_cliques(ds, successors.kcnn(lat, ds, _frontier(ds), 3, 20), theta=THETA).withColumn("score", r9("score"))
 
 
 @query()
@@ -371,10 +371,10 @@ def bfs_hops(spark, sf_dir):
 @query(BOTH + """, h1 AS (SELECT src, b AS node, min(dist) AS cost FROM s JOIN e2 ON a = src GROUP BY 1, 2), b1 AS (SELECT src, src AS node, 0.0::DOUBLE AS cost FROM s UNION ALL SELECT * FROM h1),
 b2 AS (SELECT src, node, min(cost) AS cost FROM (SELECT * FROM b1 UNION ALL SELECT src, b, cost + dist FROM b1 JOIN e2 ON a = node) GROUP BY 1, 2),
 b3 AS (SELECT src, node, min(cost) AS cost FROM (SELECT * FROM b2 UNION ALL SELECT src, b, cost + dist FROM b2 JOIN e2 ON a = node) GROUP BY 1, 2)
-SELECT src, node, round(min(cost), 6) AS cost FROM b3 GROUP BY 1, 2""")
+SELECT src, node, round(min(cost), 9) AS cost FROM b3 GROUP BY 1, 2""")
 def least_costs(spark, sf_dir):
     e, s = _edges(spark, sf_dir)
-    return network.shortest_costs(e, s, 3).withColumn("cost", r6("cost"))
+    return network.shortest_costs(e, s, 3).withColumn("cost", r9("cost"))
 
 
 @query()
@@ -395,7 +395,7 @@ def _search(spark, sf_dir, **spec):
 
 def _shown(paths):
     text = lambda c: F.array_join(F.col(c).cast("array<string>"), ">")
-    return paths.select("pair_id", "src", "dst", "outcome", "hops", r6("cost").alias("cost"), text("nodes").alias("nodes"), "nodes_explored", "rounds", r6("ebf").alias("ebf"))
+    return paths.select("pair_id", "src", "dst", "outcome", "hops", r9("cost").alias("cost"), text("nodes").alias("nodes"), "nodes_explored", "rounds", r9("ebf").alias("ebf"))
 
 
 @query()
@@ -424,7 +424,7 @@ def _lattice_search(spark, sf_dir, **spec):
     ds, lat = _lattice(spark, sf_dir)
     theta = spec.pop("theta", 0.93)
     pairs = written(sample_pairs(ds, N_PAIRS, avoid=distance.hammock_pairs(ds, theta=theta)), "pairs")
-    return ds, find_paths(ds, pairs, SearchSpec(theta=theta, max_rounds=ROUNDS, **spec), lat, minsup=0.3)
+    return ds, find_paths(ds, pairs, SearchSpec(theta=theta, max_rounds=ROUNDS, **spec), lat, minsup=MINSHARE)
 
 
 @query()
@@ -445,7 +445,7 @@ def widths_and_cliques(spark, sf_dir):
         ds, lat = _lattice(spark, sf_dir)
         pairs = written(sample_pairs(ds, 3), "pairs")
         p = find_paths(ds, pairs, SearchSpec(width=w, k=k, successors="kcnn", max_rounds=4), lat)
-        rows.append(p.groupBy("outcome").agg(F.count(F.lit(1)).alias("n"), r6(F.avg("hops")).alias("hops")).select(F.lit(w).alias("width"), F.lit(k).alias("k"), "outcome", "n", "hops"))
+        rows.append(p.groupBy("outcome").agg(F.count(F.lit(1)).alias("n"), r9(F.avg("hops")).alias("hops")).select(F.lit(w).alias("width"), F.lit(k).alias("k"), "outcome", "n", "hops"))
     return reduce(DataFrame.union, rows)
 
 
@@ -469,7 +469,7 @@ def search_outcomes(spark, sf_dir):
 @query()
 def path_validity(spark, sf_dir):
     ds, pairs, p = _search(spark, sf_dir)
-    return distance.validate_paths(ds, p.where("outcome = 'found'"), theta=THETA).withColumn("cost", r6("cost"))
+    return distance.validate_paths(ds, p.where("outcome = 'found'"), theta=THETA).withColumn("cost", r9("cost"))
 
 
 @query()
@@ -477,13 +477,13 @@ def path_cost_gap(spark, sf_dir):
     """Costs against the least over the built network."""
     ds, pairs, p = _search(spark, sf_dir, b=100_000)
     best = network.dijkstra_rounds(network.materialize_network(ds, theta=THETA), pairs)
-    return measures.cost_gap(p, best).select("pair_id", r6("cost").alias("cost"), r6("best").alias("best"), r6(F.greatest("gap", F.lit(0.0))).alias("gap"))
+    return measures.cost_gap(p, best).select("pair_id", r9("cost").alias("cost"), r9("best").alias("best"), r9(F.greatest("gap", F.lit(0.0))).alias("gap"))
 
 
 @query()
 def outcome_cube(spark, sf_dir):
     p = _search(spark, sf_dir)[2]
-    return p.cube("outcome", "hops").agg(F.count(F.lit(1)).alias("n"), r6(F.avg("nodes_explored")).alias("nodes_explored"))
+    return p.cube("outcome", "hops").agg(F.count(F.lit(1)).alias("n"), r9(F.avg("nodes_explored")).alias("nodes_explored"))
 
 
 # ---------------------------------------------------------------- significance
@@ -496,12 +496,12 @@ def hop_significance(spark, sf_dir):
 
 
 @query(PAIRS + """, t AS (SELECT a, b, 1.0 - sdist AS p FROM d WHERE width >= 4), m AS (SELECT *, count(*) OVER () AS m, rank() OVER (ORDER BY p) + count(*) OVER (PARTITION BY p) - 1 AS i FROM t)
-SELECT a, b, round(least(1.0, min(p * m / i) OVER (ORDER BY p DESC RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)), 6) AS q FROM m""")
+SELECT a, b, round(least(1.0, min(p * m / i) OVER (ORDER BY p DESC RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)), 9) AS q FROM m""")
 def bh_adjust(spark, sf_dir):
     """The adjustment alone, over values that SQL can compute too."""
     ds = _pbc(spark, sf_dir)
     d = distance.pair_distance(ds, distance.hammock_pairs(ds, width=4), weighted=False)
-    return measures.benjamini_hochberg(d.select("a", "b", (1.0 - F.col("dist")).alias("p"))).select("a", "b", r6("q").alias("q"))
+    return measures.benjamini_hochberg(d.select("a", "b", (1.0 - F.col("dist")).alias("p"))).select("a", "b", r9("q").alias("q"))
 
 
 # ---------------------------------------------------------------- operators around the methods
