@@ -67,8 +67,8 @@ OP8_SQL = """
 WITH RECURSIVE v AS (
   SELECT vec_id, label, embedding::DOUBLE[] AS e,
          (label IS NOT NULL AND embedding IS NOT NULL AND len(embedding) > 0
-          AND len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0
-          AND len(list_filter(embedding, x -> x <> 0)) > 0) AS ok
+          AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0
+          AND len([x FOR x IN embedding IF x <> 0]) > 0) AS ok
   FROM embeddings),
 g AS (SELECT * FROM v WHERE ok),
 l AS (SELECT a.vec_id AS u, b.vec_id AS w FROM g a JOIN g b
