@@ -85,6 +85,17 @@ def build_concepts(ds: AssocDataset, minsup: int | float, min_features: int = 1,
     return Lattice(concepts, extents, n)
 
 
+def pair_support(ds: AssocDataset, per_feature: int = 5) -> int:
+    """The largest support at which at least ``per_feature`` pairs a feature are frequent; that of the rarest pair where there are fewer."""
+    rel = ds.rel.select("obj", "feat")
+    pairs = rel.join(rel.withColumnRenamed("feat", "other"), "obj").where("feat < other").groupBy("feat", "other").agg(F.count(F.lit(1)).alias("n"))
+    counts = pairs.groupBy("n").agg(F.count(F.lit(1)).alias("pairs"))
+    reach = F.sum("pairs").over(Window.orderBy(F.desc("n")).rowsBetween(Window.unboundedPreceding, 0))
+    want = per_feature * rel.agg(F.count_distinct("feat")).first()[0]
+    found = counts.select("n", reach.alias("reach")).agg(F.max(F.when(F.col("reach") >= want, F.col("n"))), F.min("n")).first()
+    return max(1, found[0] or found[1] or 1)
+
+
 def build_edges(lat: Lattice) -> DataFrame:
     """(cid, child_cid): covers, where a child has fewer features and nothing lies between.
 

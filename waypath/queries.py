@@ -235,9 +235,14 @@ def concepts(spark, sf_dir):
 
 
 def _lattice(spark, sf_dir, least=None):
-    """Parts by suppliers with a support that leaves some hundreds of concepts."""
+    """Parts by suppliers."""
     ds = carriers.parts_by_suppliers(spark, sf_dir).kept()
-    return ds, lattice.build_concepts(ds, MINSHARE if least is None else least)
+    return ds, lattice.build_concepts(ds, _support(ds) if least is None else least)
+
+
+def _support(ds):
+    """A share of the objects, less where that leaves too few frequent pairs of features."""
+    return min(ds.support(MINSHARE), lattice.pair_support(ds))
 
 
 @query()
