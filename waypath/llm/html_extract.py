@@ -18,6 +18,8 @@ VOID = frozenset("area base br col embed hr img input link meta param source tra
 BLOCK = frozenset("address article aside blockquote body caption center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 CLOSES_P = BLOCK - {"body", "html", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "legend", "summary", "figcaption"}
 CONTAINER = frozenset("article main section div body td".split())
+#: Share of its parts' scores that a mere wrapper gets.
+WRAPPED = 0.9
 RAW = frozenset("script style textarea title noscript iframe".split())
 #: An element of these closes an open one of its group.
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
@@ -111,14 +113,20 @@ def generalised(node: Node) -> str:
 
 
 def measured(root: Node) -> dict[str, list[float]]:
-    """By path of a container: [score].  Text counts in full at the nearest container, less at those around it; links count against it."""
+    """By path of a container: [score].  Text counts in full at the nearest container; links count against it.
+
+    A container passes its score to the one around it: whole where that one has a headline
+    or prose of its own or several good parts, less where it only wraps, so the smallest
+    container around all good parts scores most.  Articles and mains are wholes: what lies
+    around one gets less.  Cells without paragraphs are data and pass all they have.
+    """
     scores: dict[int, list] = {}
 
     def walk(node, in_link, holder):
         if node.junk or (node.tag == "header" and not inside_article(node)):
             return
         if node.tag in CONTAINER:
-            holder = [node, 0, 0, 0, holder]
+            holder = [node, 0, 0, 0, holder, False, []]
             scores[id(node)] = holder
         in_link = in_link or node.tag == "a"
         for x in node.items:
@@ -128,16 +136,26 @@ def measured(root: Node) -> dict[str, list[float]]:
                     holder[2 if in_link else 1] += k
                     if k and node.tag == "p" or k > 80:
                         holder[3] += k
+                    if k and node.tag == "h1":
+                        holder[5] = True
             else:
                 walk(x, in_link, holder)
 
     walk(root, False, None)
     out: dict[str, list[float]] = {}
-    for node, text, link, prose, _ in scores.values():
+    for node, text, link, prose, outer, headline, parts in reversed(scores.values()):  # inner ones come after those around them
+        good = [p for p in parts if p[0] > 0]
+        whole = any(p[1] for p in good)
+        share = WRAPPED if whole or not (headline or prose or len(good) > 1) else 1.0
         gain = text + prose - 3.0 * link
-        gain *= 1.5 if node.tag in ("article", "main") else 1.0
+        inside = sum(p[0] * (1.0 if p[2] else share) for p in good)
+        if node.tag in ("article", "main"):
+            gain, inside, whole = 1.5 * gain, inside * (1.0 if whole else 1.5), True
+        gain += inside
         if gain > 0:
             out.setdefault(generalised(node), [0.0])[0] += gain
+        if outer is not None:
+            outer[6].append((gain, whole, node.tag == "td" and not prose and not parts))
     return out
 
 
@@ -151,11 +169,11 @@ def inside_article(node: Node) -> bool:
 
 
 def best_path(root: Node) -> tuple[str, float] | None:
-    """A page's own vote.  A container around several good ones of different paths wins only if it has text of its own."""
+    """A page's own vote: the best score, of equal ones the innermost."""
     found = measured(root)
     if not found:
         return None
-    path = max(found, key=lambda p: (found[p][0], p))
+    path = max(found, key=lambda p: (found[p][0], p.count("/"), p))
     return path, found[path][0]
 
 
