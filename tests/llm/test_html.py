@@ -46,3 +46,28 @@ def test_an_article_around_a_large_table(tag):
 def test_a_wrapper_and_links_stay_out():
     got = both(f"<div class=outer><ul><li><a href=/b>Other things to read here</a></li></ul><article><h1>Head</h1><p>{P[0]}</p></article><div class=note>Copyright</div></div>")
     assert got == f"Head\n{P[0]}"
+
+
+@pytest.mark.parametrize("tag", ["div class='content with-sidebar'", "div id='page' class='no-sidebar'", "section class='related-work'", "div class='content sidebar-right'", "div class='sidebar'", "div class='comments'"])
+def test_a_name_does_not_cut_the_article(tag):
+    body = f"<h1>Head</h1><p>{P[0]}</p><p class='side-note'>{P[1]}</p><p>{P[2]}</p>"
+    want = "\n".join(["Head", *P])
+    assert both(f"<{tag}>{body}</{tag.split()[0]}>") == want
+    assert both(f"<{tag}><article>{body}</article></{tag.split()[0]}>") == want
+    assert both(f"<{tag}>{body.replace('h1', 'h2')}</{tag.split()[0]}>") == want
+
+
+def test_a_headline_in_a_header_stays():
+    assert both(f"<article><div class='article-header'><h1>Head</h1></div><div class=header><h1>More</h1></div><p>{P[0]}</p></article>") == f"Head\nMore\n{P[0]}"
+
+
+@pytest.mark.parametrize("cls", ["ad", "site-footer", "sidebar left", "comment-list", "google-ad", "ad-300x250"])
+def test_what_is_named_junk_stays_out(cls):
+    junk = f"<div class='{cls}'><p>{P[2]}</p></div>"
+    assert both(f"{junk}<article><h1>Head</h1><p>Short.</p></article>") == "Head\nShort."
+    assert both(f"<div class=text><p>{P[0]}</p><p>{P[1]}</p></div>{junk}") == f"{P[0]}\n{P[1]}"
+
+
+def test_a_page_of_named_junk_alone_is_not_empty():
+    assert extract_one(page("<div class=notice>Closed today</div>")) == "Closed today"
+    assert extract_one(page("<div hidden>Closed today</div>")) == ""

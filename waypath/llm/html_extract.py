@@ -26,6 +26,10 @@ SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "
 BARRIER = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}, "option": {"select"}}
 #: Words in a class or id that mark what is not the article.
 JUNK = frozenset("ad ads advert adverts advertisement advertising adbox sponsor sponsored promo banner sidebar side nav navbar navigation menu breadcrumb breadcrumbs footer header masthead comment comments disqus reply replies cookie cookies consent notice notices gdpr popup modal overlay newsletter subscribe signup share sharing social related recommended recommendations widget toolbar pagination pager login search".split())
+#: Words that may stand beside one of JUNK in the name of what is not the article; any other word ("related-work", "no-sidebar") makes it a name of something else.
+BESIDE = frozenset("left right top bottom upper lower box boxes list lists wrap wrapper container area block inner outer site page global bar bars link links button buttons item items unit slot holder panel module section zone col column primary secondary mobile desktop google dfp x px".split())
+#: How far a node is left out: by its name only, or for good.
+NAMED, LEFT_OUT = 1, 2
 # ----
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
@@ -43,9 +47,46 @@ class Node:
         self.tag, self.cls, self.junk, self.parent, self.items, self.path = tag, cls, junk, parent, [], None
 
 
+def names_junk(value: str) -> bool:
+    """Whether one of the names in a class, id or role says that this is not the article."""
+    for name in value.split():
+        words = {w.lower() for w in _WORDS.findall(name)}
+        if words & JUNK and words <= JUNK | BESIDE:
+            return True
+    return False
+
+
+def spare(named: list[Node], root: Node) -> None:
+    """A name does not count on what holds an article, a main or a headline, nor, on a page without an article or main, on what holds half of its prose."""
+    inside = {id(n): [False, 0] for n in named}
+    total, framed = 0, False
+    todo = [(root, ())]
+    while todo:
+        node, around = todo.pop()
+        if id(node) in inside:
+            around = (*around, inside[id(node)])
+        framed = framed or node.tag in ("article", "main")
+        if node.tag in ("article", "main", "h1"):
+            for x in around:
+                x[0] = True
+        for x in node.items:
+            if not isinstance(x, str):
+                if x.junk != LEFT_OUT and x.tag != "a":
+                    todo.append((x, around))
+            elif (k := len(x.strip())) and (node.tag == "p" or k > 80):
+                total += k
+                for y in around:
+                    y[1] += k
+    for n in named:
+        held, prose = inside[id(n)]
+        if held or not framed and prose and 2 * prose >= total:
+            n.junk = 0
+
+
 def parse(page: str) -> Node:
     """A tree of Nodes and raw text pieces; missing end tags are implied the usual way."""
-    root = Node("#", "", False, None)
+    root = Node("#", "", 0, None)
+    named = []
     cur, at = root, 0
     scan, n = _TOKEN.finditer, len(page)
     skip_to = -1
@@ -80,18 +121,19 @@ def parse(page: str) -> Node:
             while up.tag in group:
                 cur = up.parent
                 up = cur
-        cls, junk = "", tag in BOILER
+        cls, junk = "", LEFT_OUT if tag in BOILER or tag in SKIP else 0
         if attrs:
             for key, value in _CLASS.findall(attrs):
                 value = value.strip("\"'")
                 if key.lower() == "class":
                     cls = ".".join(sorted({_DIGITS.sub("#", c.lower()) for c in value.split()}))
-                words = {w.lower() for w in _WORDS.findall(value)}
-                if words & JUNK and tag not in ("body", "html", "article", "main"):
-                    junk = True
+                if not junk and tag not in ("body", "html", "article", "main") and names_junk(value):
+                    junk = NAMED
             if _HIDDEN.search(attrs):
-                junk = True
-        node = Node(tag, cls, junk or tag in SKIP, cur)
+                junk = LEFT_OUT
+        node = Node(tag, cls, junk, cur)
+        if junk == NAMED:
+            named.append(node)
         cur.items.append(node)
         if tag in RAW and not attrs.rstrip().endswith("/"):
             end = re.compile(f"</{tag}\\s*>", re.I).search(page, at)
@@ -101,6 +143,8 @@ def parse(page: str) -> Node:
             cur = node
     if at < n:
         cur.items.append(page[at:])
+    if named:
+        spare(named, root)
     return root
 
 
@@ -189,7 +233,7 @@ def containers(root: Node, path: str) -> list[Node]:
     return out
 
 
-def text_of(nodes: list[Node]) -> str:
+def text_of(nodes: list[Node], without: int = NAMED) -> str:
     """Blocks of text in page order, one a line."""
     blocks, line = [], []
 
@@ -201,7 +245,7 @@ def text_of(nodes: list[Node]) -> str:
             line.clear()
 
     def walk(node):
-        if node.junk or (node.tag == "header" and not inside_article(node)):
+        if node.junk >= without or (node.tag == "header" and not inside_article(node)):
             return
         block = node.tag in BLOCK
         if block:
@@ -223,14 +267,14 @@ def text_of(nodes: list[Node]) -> str:
 
 
 def extract_one(page: str, winner: str | None = None) -> str:
-    """Text at the host's winning path; where a page lacks it, at the page's own best; else of the body."""
+    """Text at the host's winning path; where a page lacks it, at the page's own best; else of the body, with what only a name speaks against if there is nothing more."""
     root = parse(page)
     nodes = containers(root, winner) if winner else []
     text = text_of(nodes) if nodes else ""
     if not text:
         own = best_path(root)
         text = text_of(containers(root, own[0])) if own else text_of([root])
-    return text
+    return text or text_of([root], LEFT_OUT)
 
 
 def host_of(url):
