@@ -22,3 +22,8 @@ def test_lattice_of_many_rare_features_is_not_empty(spark):
     ds = random_intersection(spark, 400, 80, 0.05).kept()
     assert lattice.build_concepts(ds, queries.MINSHARE).concepts.where("n_feat >= 2").isEmpty()
     assert lattice.build_concepts(ds, queries._support(ds)).concepts.where("n_feat >= 2").count() > 0
+
+
+def test_frontier_grows_with_the_table(spark):
+    ds = carriers.parts_by_suppliers(spark, "/root/testdata/sf0.01")
+    assert sorted(r.obj for r in queries._frontier(ds).collect()) == list(range(0, 2000, 100))
