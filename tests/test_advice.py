@@ -1,7 +1,10 @@
 """Work that an earlier round left out."""
 
+import pytest
+
 from waypath import queries
-from waypath.operators import lattice
+from waypath.llm.common import components
+from waypath.operators import lattice, network
 from waypath.operators.dataset import random_intersection
 from waypath.sources import carriers
 
@@ -27,3 +30,12 @@ def test_lattice_of_many_rare_features_is_not_empty(spark):
 def test_frontier_grows_with_the_table(spark):
     ds = carriers.parts_by_suppliers(spark, "/root/testdata/sf0.01")
     assert sorted(r.obj for r in queries._frontier(ds).collect()) == list(range(0, 2000, 100))
+
+
+def test_unsettled_components_are_refused(spark):
+    chain = [(i, i + 1) for i in range(20)]
+    with pytest.raises(RuntimeError, match="not settled"):
+        components(spark.createDataFrame(chain, "u long, v long"), 2)
+    nodes = spark.range(21).withColumnRenamed("id", "obj")
+    with pytest.raises(RuntimeError, match="not settled"):
+        network.component_labels(nodes, spark.createDataFrame(chain, "a long, b long"), 2)

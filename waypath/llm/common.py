@@ -140,6 +140,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         paired = large.join(small_low, F.col("u") == F.col("c"))
         linked = paired.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(small_low.select(F.col("c").alias("u"), F.col("m").alias("v")))
         step = written(linked.where("u <> v").distinct(), "edges")
+    else:
+        raise RuntimeError(f"components are not settled after {max_rounds} rounds")
     stars = step.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("root"))
     roots = stars.select(F.col("root").alias("node")).distinct().select("node", F.col("node").alias("root"))
     return stars.union(roots)

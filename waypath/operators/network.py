@@ -60,7 +60,7 @@ def component_labels(nodes: DataFrame, edges: DataFrame, max_rounds: int = 60) -
         if now == state:
             return lab
         state = now
-    return lab
+    raise RuntimeError(f"components are not settled after {max_rounds} rounds")
 
 
 def connectivity_by_width(ds: AssocDataset, widths: list[int]) -> DataFrame:
