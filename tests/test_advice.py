@@ -6,6 +6,7 @@ from waypath import queries
 from waypath.llm.common import components
 from waypath.operators import lattice, network
 from waypath.operators.dataset import random_intersection
+from waypath.plans.spec import SearchSpec
 from waypath.sources import carriers
 
 
@@ -39,3 +40,8 @@ def test_unsettled_components_are_refused(spark):
     nodes = spark.range(21).withColumnRenamed("id", "obj")
     with pytest.raises(RuntimeError, match="not settled"):
         network.component_labels(nodes, spark.createDataFrame(chain, "a long, b long"), 2)
+
+
+def test_mixed_step_costs_are_refused():
+    with pytest.raises(TypeError, match="mixed_cost"):
+        SearchSpec(theta=0.9, mixed_cost=True)

@@ -23,7 +23,6 @@ class SearchSpec:
     goal_clique: str = "required"  # required | hammock
     pop: int = 1
     reopen: bool | None = None
-    mixed_cost: bool = False
     t_mode: str = "sum"
     time_limit_s: float = 120.0
     max_rounds: int = 40
