@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -31,10 +32,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a temporary one only where the session names none."""
+    """The folder of spark.checkpoint.dir.
+
+    Where the session names none, a temporary folder serves a local master (tests) and the
+    warehouse, which all executors share, any other.
+    """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="waypath-"))
+        one_machine = re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master)
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="waypath-") if one_machine else f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/waypath-shared")
         found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
 
@@ -44,15 +50,46 @@ def written(df: DataFrame, what: str = "table") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/waypath-{what}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _WRITTEN.append((spark, path))
+    to_drop(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def to_drop(spark: SparkSession, path: str) -> None:
+    """Have a folder removed at exit."""
+    _WRITTEN.append((spark, path))
+
+
+def _file_system(spark: SparkSession, path: str):
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def drop(spark: SparkSession, path: str) -> None:
+    p, fs = _file_system(spark, path)
+    fs.delete(p, True)
+
+
+def mark() -> int:
+    """A place in the list of written tables; see ``drop_since``."""
+    return len(_WRITTEN)
+
+
+def drop_since(place: int, but: list[DataFrame] = ()) -> None:
+    """Remove the tables written since ``place`` that none of the given frames reads."""
+    needed = "\n".join(f for df in but for f in df.inputFiles())
+    rest = []
+    for spark, path in _WRITTEN[place:]:
+        if path.rsplit("/", 1)[-1] in needed:
+            rest.append((spark, path))
+        else:
+            drop(spark, path)
+    _WRITTEN[place:] = rest
+
+
 @atexit.register
 def _clean() -> None:
     for spark, path in _WRITTEN:
         try:
-            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+            drop(spark, path)
         except Exception:  # noqa: BLE001  the session may be gone
-            return
+            continue
