@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 
 #: Any common passage of GRAM + WINDOW - 1 code points shares a kept gram; none under GRAM does.
 GRAM, WINDOW = 12, 16
+#: Rows taken from a batch at a time, and bytes of fingerprints after which rows go out: they bound a worker's memory, not the result.
+ROWS, YIELD_BYTES = 128, 2 << 20
 _MULT = 0x9E3779B97F4A7C15
 
 
@@ -147,18 +149,29 @@ def edited_fingerprints(docs: DataFrame, k: int = GRAM, w: int = WINDOW, buckets
             ea, eh = winnow(text, k, w)
             return (cur[0], len(cur[1]), hashlib.sha256(text.encode()).hexdigest(), written_out(at, h), written_out(ea, eh), likeness(h, eh), likeness(h, nxt[2][1]))
 
-        for b in batches:
-            out = []
-            for bucket, halo, doc, text in zip(*(b.column(i).to_pylist() for i in range(4))):
-                if halo and ended == bucket:
-                    continue  # rows of the same largest id were copied too; the first in order counts
-                cur = (doc, text, winnow(text, k, w))
-                if last is not None:
-                    out.append(row(last, cur))
-                last = None if halo else cur
-                ended = bucket if halo else None
+        out, size = [], 0
+
+        def packed():
+            nonlocal out, size
             cols = list(zip(*out)) if out else [[]] * 7
             kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
-            yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, kinds)], names)
+            out, size = [], 0
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names)
+
+        for b in batches:
+            for at in range(0, b.num_rows, ROWS):
+                for bucket, halo, doc, text in zip(*(c.to_pylist() for c in b.slice(at, ROWS).columns)):
+                    if halo and ended == bucket:
+                        continue  # rows of the same largest id were copied too; the first in order counts
+                    cur = (doc, text, winnow(text, k, w))
+                    if last is not None:
+                        out.append(row(last, cur))
+                        size += len(out[-1][3]) + len(out[-1][4])
+                        if size >= YIELD_BYTES:
+                            yield packed()
+                    last = None if halo else cur
+                    ended = bucket if halo else None
+        if out:
+            yield packed()
 
     return rows.mapInArrow(compare, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
