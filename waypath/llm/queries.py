@@ -93,7 +93,7 @@ t AS (SELECT source, source_size, CASE WHEN c.k0 IS NULL OR f.k < c.k0 THEN f.ca
              ('0x' || substr(md5('7:' || coalesce('s' || source, 'null')), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u FROM f, c),
 n AS (SELECT d.doc_id, d.size, t.source_size, t.target, t.u, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0 END AS rate,
              (row_number() OVER (PARTITION BY d.source ORDER BY floor(log2(d.size + 1.0::DOUBLE) * 4),
-                coalesce(((d.doc_id % 128) + 128) % 128, -1), coalesce((floor(d.doc_id / 128)::BIGINT % 128 + 128) % 128, -1), d.doc_id NULLS LAST, d.size) - 1)::DOUBLE AS r
+                ('0x' || substr(md5(coalesce(d.doc_id::VARCHAR, 'null')), 1, 8))::BIGINT, d.doc_id NULLS LAST, d.size) - 1)::DOUBLE AS r
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
 SELECT doc_id, size, source_size, target, ((floor((r + 1.0) * rate + u) - floor(r * rate + u)) * size)::BIGINT AS taken FROM n
 """
