@@ -2,10 +2,8 @@
 
 from __future__ import annotations
 
-import atexit
 import os
 import tempfile
-import uuid
 import zipfile
 
 import numpy as np
@@ -13,8 +11,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..tables import shared_dir, to_drop, written  # noqa: F401
+
 _SHIPPED: set[str] = set()
-_TABLES: list[tuple[SparkSession, str]] = []
 
 
 def ship(spark: SparkSession) -> None:
@@ -38,54 +37,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where none is configured (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        known = spark.sparkContext.getCheckpointDir()
-        if known is None:
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="waypath-checkpoint-"))
-            known = spark.sparkContext.getCheckpointDir()
-        found = known
-    return found.rstrip("/")
-
-
-def _drop_tables() -> None:
-    for spark, path in _TABLES:
-        try:
-            drop(spark, path)
-        except Exception:  # noqa: BLE001  the session may be gone at exit
-            pass
-
-
-def drop(spark: SparkSession, path: str) -> None:
-    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
-
-
-atexit.register(_drop_tables)
-
-
-def written(df: DataFrame, what: str) -> DataFrame:
-    """Write df to the shared folder and read it back: lineage is cut and the rows survive lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/waypath-{what}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _TABLES.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def held_out(doc_id: str = "doc_id"):
     """True where crc32(doc_id as text) mod 5 is 0; a missing id is never trained on."""
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % 5 == 0, F.lit(True))
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int) -> DataFrame:
-    """(doc_id, text, y) of at most about ``bound`` labelled rows outside the held-out fold.
+    """(doc_id, text, y) of at most about ``bound`` labelled documents outside the held-out fold.
 
-    The bound is a documented parameter of the classifiers.  Rows are taken by a hash
-    of their id, so reruns agree; the label side has a proven size and is broadcast, so
-    texts are never shuffled.
+    The bound is a documented parameter of the classifiers.  Documents are taken by a hash
+    of their id, so reruns agree; a repeated id counts once, with its smallest text, so
+    repeats don't get past the bound.  The label side has a proven size and is broadcast,
+    so only the sample's texts are shuffled.
     """
     lab = labels.select("doc_id", F.col(label).cast("int").alias("y")).where(
         F.col("doc_id").isNotNull() & F.col("y").isin(0, 1) & ~held_out())
@@ -93,7 +56,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int)
     n = lab.count()
     if n > bound:
         lab = lab.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(bound / n * (1 << 30)))
-    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(lab), "doc_id")
+    found = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(lab), "doc_id")
+    return found.groupBy("doc_id").agg(F.min("text").alias("text"), F.min("y").alias("y"))
 
 
 # ---------------------------------------------------------------- connected components
@@ -155,6 +119,8 @@ def paired_blocks(homes: DataFrame, probers: DataFrame, keys: list[str], kernel,
     Homes of a key are dealt into blocks of about ``block`` rows by their count, and each
     prober of the key goes to every block, so a key of any size becomes many units instead
     of one task.  Within a unit the homes come first and are held; probers stream past.
+    Units are few bytes and much work, so the number of partitions is given: else they
+    would be folded into a task or two by their size.
     Both inputs have the columns keys, id and payload columns of one shape.
     """
     counts = homes.groupBy(*keys).agg(F.count(F.lit(1)).alias("__n")).select(
@@ -163,7 +129,8 @@ def paired_blocks(homes: DataFrame, probers: DataFrame, keys: list[str], kernel,
     h = homes.join(counts, keys).select(*keys, F.pmod(F.xxhash64("id"), F.col("__nb")).cast("int").alias("__b"), F.lit(0).alias("__role"), *rest)
     p = probers.join(counts, keys).select(*keys, F.explode(F.sequence(F.lit(0), F.col("__nb") - 1)).alias("__b"), F.lit(1).alias("__role"), *rest)
     unit = [*keys, "__b"]
-    dealt = h.union(p).repartition(*unit).sortWithinPartitions(*unit, "__role", "id")
+    tasks = int(homes.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
+    dealt = h.union(p).repartition(tasks, *unit).sortWithinPartitions(*unit, "__role", "id")
 
     def stream(batches):
         held_key, held = None, []

@@ -12,7 +12,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import _TABLES, shared_dir, written
+from .common import shared_dir, to_drop, written
 from .id_coder import BLOCK_IDS, block_bytes, crc_joined, decode_lanes, encode_lanes, read_block
 from .packing import tokenised
 from .tokens import loaded
@@ -125,7 +125,7 @@ def id_report(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
     spark = docs.sparkSession
     path = f"{shared_dir(spark)}/waypath-idfile-{uuid.uuid4().hex}"
     write_ids(docs, path, tokenizer)
-    _TABLES.append((spark, path))
+    to_drop(spark, path)
     frags = written(read_ids(spark, path, loaded(tokenizer).lib.get_vocab_size() - 1), "fragments")
     totals = frags.groupBy("part").agg(F.sum("n").alias("n")).collect()  # a row per partition of the sort
     at, rows = 0, []

@@ -60,14 +60,27 @@ def pivot_table(fp: np.ndarray, refs: np.ndarray) -> np.ndarray:
     return np.stack([np.bitwise_count(fp ^ p) for p in refs]).astype(np.int8)
 
 
+def pivot_distances(ids: DataFrame) -> DataFrame:
+    """(id, pivots): the distance table, a byte a reference for each fingerprint."""
+
+    def measure(batches):
+        for b in batches:
+            t = np.ascontiguousarray(pivot_table(b.column(0).to_numpy().view(np.uint64), pivots()).T)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([r.tobytes() for r in t], pa.binary())], ["id", "pivots"])
+
+    return ids.mapInArrow(measure, "id long, pivots binary")
+
+
 def near_pairs(a: np.ndarray, b: np.ndarray, near: int = NEAR, refs: np.ndarray | None = None, tables: tuple | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Index pairs (i, j) with a[i] and b[j] at most ``near`` bits apart.
 
     A pair goes as soon as its distances to one reference differ by more than ``near``: by
     the triangle inequality it can't be close.  Survivors are verified bit by bit.
     """
-    refs = pivots() if refs is None else refs
-    ta, tb = tables or (pivot_table(a, refs), pivot_table(b, refs))
+    if tables is None:
+        refs = pivots() if refs is None else refs
+        tables = pivot_table(a, refs), pivot_table(b, refs)
+    ta, tb = tables
     order = np.argsort(tb[0], kind="stable")  # the first coordinate by search, the others by test
     first = tb[0][order]
     lo, hi = np.searchsorted(first, ta[0] - near, "left"), np.searchsorted(first, ta[0] + near, "right")
@@ -103,15 +116,19 @@ def near_edges(distinct: DataFrame, near: int = NEAR, block: int = BLOCK) -> Dat
         masks.append(m - (1 << 64) if m >= 1 << 63 else m)
     keyed = distinct.select(F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)])).alias("x"), F.col("fp").alias("id")).select("x.t", "x.key", "id")
     crowded = keyed.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t", "key")
-    keyed = keyed.join(crowded, ["t", "key"])
+    keyed = written(keyed.join(crowded, ["t", "key"]), "keys")
+    # each fingerprint's distances to the references, computed once however many keys it has
+    keyed = keyed.join(pivot_distances(keyed.select("id").distinct()), "id").select("t", "key", "id", "pivots")
+
+    def unpacked(part):
+        return part["id"].to_numpy().view(np.uint64), np.frombuffer(b"".join(part["pivots"]), np.int8).reshape(len(part), -1).T
 
     def kernel(cache, part):
-        refs = pivots()
         if "fp" not in cache:
-            cache["fp"] = cache["homes"]["id"].to_numpy().view(np.uint64)
-            cache["table"] = pivot_table(cache["fp"], refs)
-        h, p = cache["fp"], part["id"].to_numpy().view(np.uint64)
-        i, j = near_pairs(p, h, near, refs, (pivot_table(p, refs), cache["table"]))
+            cache["fp"], cache["table"] = unpacked(cache["homes"])
+        h = cache["fp"]
+        p, table = unpacked(part)
+        i, j = near_pairs(p, h, near, tables=(table, cache["table"]))
         ok = p[i] != h[j]
         i, j = i[ok], j[ok]
         if not len(i):
@@ -147,7 +164,12 @@ def near_duplicates(docs: DataFrame, near: int = NEAR) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, near: int = NEAR) -> DataFrame:
-    """docs with one row of each near-duplicate group: that of the smallest doc_id."""
+    """docs with one row of each near-duplicate group: that of the smallest doc_id.
+
+    Null texts count as texts without words, which form one group; a group of null ids only
+    keeps one of its rows; of rows with the same id and fingerprint one stays; other columns
+    travel along; an empty table gives no rows.
+    """
     cols = docs.columns
     slim = written(fingerprints(docs), "simhash")
     found = classes(slim, near)
