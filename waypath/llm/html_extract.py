@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import hashlib
 import html as entities
 import re
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -28,11 +30,20 @@ BARRIER = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table
 JUNK = frozenset("ad ads advert adverts advertisement advertising adbox sponsor sponsored promo banner sidebar side nav navbar navigation menu breadcrumb breadcrumbs footer header masthead comment comments disqus reply replies cookie cookies consent notice notices gdpr popup modal overlay newsletter subscribe signup share sharing social related recommended recommendations widget toolbar pagination pager login search".split())
 #: Words that may stand beside one of JUNK in the name of what is not the article; any other word ("related-work", "no-sidebar") makes it a name of something else.
 BESIDE = frozenset("left right top bottom upper lower box boxes list lists wrap wrapper container area block inner outer site page global bar bars link links button buttons item items unit slot holder panel module section zone col column primary secondary mobile desktop google dfp x px".split())
+# ----
+FRAMES = frozenset(("article", "main"))
+#: What bounds a paragraph, and the paragraph; the tags that list items and cells are closed among.
+BOUNDS_P = frozenset("td th div article section body li p main".split())
+LISTY = frozenset().union(*SIBLINGS.values(), *BARRIER.values())
 #: How far a node is left out: by its name only, or for good.
 NAMED, LEFT_OUT = 1, 2
-# ----
+#: Lists and tables within each other that an implied end tag looks through; and the length from which a path goes on from its digest.
+DEEP, LONG_PATH, HASHED = 512, 1000, "#"
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+#: A tag without < or > in its values; possessive, so a failure costs what lies before the next of them.
+_PLAIN = re.compile(r"<(/?)([A-Za-z][^\s/><]*+)((?:[^<>\"']++|\"[^\"<>]*+\"|'[^'<>]*+')*+)>")
+_NAME = re.compile(r"[A-Za-z][^\s/>]*")
+_STOP = re.compile(r"[>\"']")
 _CLASS = re.compile(r"(?:^|\s)(class|id|role)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
 _HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
 _WORDS = re.compile(r"[A-Za-z]+")
@@ -41,10 +52,61 @@ _DIGITS = re.compile(r"\d+")
 
 
 class Node:
-    __slots__ = ("tag", "cls", "junk", "parent", "items", "path")
+    __slots__ = ("tag", "cls", "junk", "parent", "items", "path", "framed", "listy", "para")
 
     def __init__(self, tag, cls, junk, parent):
         self.tag, self.cls, self.junk, self.parent, self.items, self.path = tag, cls, junk, parent, [], None
+        up = parent or self
+        #: Whether it is or lies in an article; the nearest node, itself included, of a list or table, and the nearest that bounds a paragraph or is one.
+        self.framed = tag in FRAMES or (parent is not None and parent.framed)
+        self.listy = self if tag in LISTY or parent is None else up.listy
+        self.para = self if tag in BOUNDS_P or parent is None else up.para
+
+
+def next_tag(page: str, at: int, lone: set[str]) -> tuple | None:
+    """(start, end, closing, name, attributes) of the first tag from ``at`` on; name None for comments and declarations.
+
+    A quoted value may hold a >.  Where a quotation mark is never closed, marks of that kind
+    mean nothing from there on (``lone`` keeps them), so no part of a page is read more than
+    a few times.
+    """
+    while True:
+        lt = page.find("<", at)
+        if lt < 0 or lt + 1 >= len(page):
+            return None
+        m = _PLAIN.match(page, lt)
+        if m:
+            return lt, m.end(), bool(m[1]), m[2].lower(), m[3]
+        c = page[lt + 1]
+        if c in "!?":
+            if page.startswith("<!--", lt):
+                end = page.find("-->", lt + 4)
+                return lt, len(page) if end < 0 else end + 3, False, None, ""
+            if "]" not in lone and page.startswith("<![CDATA[", lt):
+                end = page.find("]]>", lt)
+                if end >= 0:
+                    return lt, end + 3, False, None, ""
+                lone.add("]")
+            end = page.find(">", lt) + 1
+            return (lt, end, False, None, "") if end else None
+        closing = c == "/"
+        m = _NAME.match(page, lt + 1 + closing)
+        if not m:
+            at = lt + 1
+            continue
+        k = m.end()
+        while s := _STOP.search(page, k):
+            k, mark = s.end(), s[0]
+            if mark == ">":
+                return lt, k, closing, m[0].lower(), page[m.end():k - 1]
+            if mark not in lone:
+                close = page.find(mark, k)
+                if close < 0:
+                    lone.add(mark)
+                    k = m.end()  # this tag is read again without that mark
+                else:
+                    k = close + 1
+        return None
 
 
 def names_junk(value: str) -> bool:
@@ -58,28 +120,27 @@ def names_junk(value: str) -> bool:
 
 def spare(named: list[Node], root: Node) -> None:
     """A name does not count on what holds an article, a main or a headline, nor, on a page without an article or main, on what holds half of its prose."""
-    inside = {id(n): [False, 0] for n in named}
-    total, framed = 0, False
-    todo = [(root, ())]
-    while todo:
-        node, around = todo.pop()
-        if id(node) in inside:
-            around = (*around, inside[id(node)])
-        framed = framed or node.tag in ("article", "main")
-        if node.tag in ("article", "main", "h1"):
-            for x in around:
-                x[0] = True
+    order, up, held, prose, place = [root], [-1], [False], [0], {}
+    framed = False
+    for i, node in enumerate(order):  # grows while it is read: parents come before their parts
+        place[id(node)] = i
+        framed = framed or node.tag in FRAMES
+        held[i] = node.tag in ("article", "main", "h1")
         for x in node.items:
             if not isinstance(x, str):
                 if x.junk != LEFT_OUT and x.tag != "a":
-                    todo.append((x, around))
+                    order.append(x)
+                    up.append(i)
+                    held.append(False)
+                    prose.append(0)
             elif (k := len(x.strip())) and (node.tag == "p" or k > 80):
-                total += k
-                for y in around:
-                    y[1] += k
+                prose[i] += k
+    for i in range(len(order) - 1, 0, -1):
+        held[up[i]] = held[up[i]] or held[i]
+        prose[up[i]] += prose[i]
     for n in named:
-        held, prose = inside[id(n)]
-        if held or not framed and prose and 2 * prose >= total:
+        i = place.get(id(n))
+        if i is not None and (held[i] or not framed and prose[i] and 2 * prose[i] >= prose[0]):
             n.junk = 0
 
 
@@ -87,40 +148,43 @@ def parse(page: str) -> Node:
     """A tree of Nodes and raw text pieces; missing end tags are implied the usual way."""
     root = Node("#", "", 0, None)
     named = []
-    cur, at = root, 0
-    scan, n = _TOKEN.finditer, len(page)
-    skip_to = -1
-    for m in scan(page):
-        if m.start() < skip_to:
-            continue
-        if m.start() > at:
-            cur.items.append(page[at:m.start()])
-        at = m.end()
-        tag = m[2]
+    cur, at, n = root, 0, len(page)
+    lone: set[str] = set()
+    open_now = Counter()
+
+    def leave(to):
+        nonlocal cur
+        while cur is not to:
+            open_now[cur.tag] -= 1
+            cur = cur.parent
+
+    while found := next_tag(page, at, lone):
+        start, end, closing, tag, attrs = found
+        if start > at:
+            cur.items.append(page[at:start])
+        at = end
         if tag is None:
             continue
-        tag = tag.lower()
-        if m[1]:
-            up = cur
-            while up is not root and up.tag != tag:
-                up = up.parent
-            if up is not root:
-                cur = up.parent
+        if closing:
+            if open_now[tag]:
+                up = cur
+                while up.tag != tag:
+                    up = up.parent
+                leave(up.parent)
             continue
-        attrs = m[3] or ""
-        if tag in CLOSES_P:
-            up = cur
-            while up is not root and up.tag not in ("td", "th", "div", "article", "section", "body", "li", "p", "main"):
-                up = up.parent
-            if up.tag == "p":
-                cur = up.parent
+        if tag in CLOSES_P and cur.para.tag == "p":
+            leave(cur.para.parent)
         if tag in SIBLINGS:
-            up, stop, group = cur, BARRIER[tag], SIBLINGS[tag]
-            while up is not root and up.tag not in stop and up.tag not in group:
-                up = up.parent
-            while up.tag in group:
-                cur = up.parent
-                up = cur
+            stop, group = BARRIER[tag], SIBLINGS[tag]
+            if any(open_now[g] for g in group):
+                up = cur.listy
+                for _ in range(DEEP):
+                    if up is root or up.tag in stop or up.tag in group:
+                        break
+                    up = up.parent.listy
+                while up.tag in group:
+                    leave(up.parent)
+                    up = cur
         cls, junk = "", LEFT_OUT if tag in BOILER or tag in SKIP else 0
         if attrs:
             for key, value in _CLASS.findall(attrs):
@@ -137,10 +201,11 @@ def parse(page: str) -> Node:
         cur.items.append(node)
         if tag in RAW and not attrs.rstrip().endswith("/"):
             end = re.compile(f"</{tag}\\s*>", re.I).search(page, at)
-            at = skip_to = end.end() if end else n
+            at = end.end() if end else n
             continue
         if tag not in VOID and not (attrs.rstrip().endswith("/") and tag in ("svg", "path")):
             cur = node
+            open_now[tag] += 1
     if at < n:
         cur.items.append(page[at:])
     if named:
@@ -150,10 +215,16 @@ def parse(page: str) -> Node:
 
 def generalised(node: Node) -> str:
     """Tags and classes from the top, numbers replaced; siblings are not counted."""
-    if node.path is None:
-        above = generalised(node.parent) if node.parent is not None and node.parent.tag != "#" else ""
-        node.path = f"{above}/{node.tag}{'.' + node.cls if node.cls else ''}"
-    return node.path
+    todo = []
+    while node.path is None and node.parent is not None:
+        todo.append(node)
+        node = node.parent
+    path = node.path or ""
+    for x in reversed(todo):
+        if len(path) > LONG_PATH:
+            path = HASHED + hashlib.md5(path.encode("utf-8", "surrogatepass")).hexdigest()
+        path = x.path = f"{path}/{x.tag}{'.' + x.cls if x.cls else ''}"
+    return path
 
 
 def measured(root: Node) -> dict[str, list[float]]:
@@ -166,14 +237,16 @@ def measured(root: Node) -> dict[str, list[float]]:
     """
     scores: dict[int, list] = {}
 
-    def walk(node, in_link, holder):
-        if node.junk or (node.tag == "header" and not inside_article(node)):
-            return
+    todo = [(root, False, None)]
+    while todo:
+        node, in_link, holder = todo.pop()
+        if node.junk or (node.tag == "header" and not node.framed):
+            continue
         if node.tag in CONTAINER:
             holder = [node, 0, 0, 0, holder, False, []]
             scores[id(node)] = holder
         in_link = in_link or node.tag == "a"
-        for x in node.items:
+        for x in reversed(node.items):
             if isinstance(x, str):
                 if holder is not None:
                     k = len(x.strip())
@@ -183,9 +256,8 @@ def measured(root: Node) -> dict[str, list[float]]:
                     if k and node.tag == "h1":
                         holder[5] = True
             else:
-                walk(x, in_link, holder)
+                todo.append((x, in_link, holder))
 
-    walk(root, False, None)
     out: dict[str, list[float]] = {}
     for node, text, link, prose, outer, headline, parts in reversed(scores.values()):  # inner ones come after those around them
         good = [p for p in parts if p[0] > 0]
@@ -203,15 +275,6 @@ def measured(root: Node) -> dict[str, list[float]]:
     return out
 
 
-def inside_article(node: Node) -> bool:
-    up = node.parent
-    while up is not None:
-        if up.tag in ("article", "main"):
-            return True
-        up = up.parent
-    return False
-
-
 def best_path(root: Node) -> tuple[str, float] | None:
     """A page's own vote: the best score, of equal ones the innermost."""
     found = measured(root)
@@ -229,7 +292,7 @@ def containers(root: Node, path: str) -> list[Node]:
         if node.tag != "#" and generalised(node) == path:
             out.append(node)
             continue
-        todo.extend(x for x in reversed(node.items) if not isinstance(x, str) and not x.junk and path.startswith(generalised(x)))
+        todo.extend(x for x in reversed(node.items) if not isinstance(x, str) and not x.junk and (path.startswith(generalised(x)) or path.startswith(HASHED) or x.path.startswith(HASHED)))
     return out
 
 
@@ -244,24 +307,21 @@ def text_of(nodes: list[Node], without: int = NAMED) -> str:
                 blocks.append(s)
             line.clear()
 
-    def walk(node):
-        if node.junk >= without or (node.tag == "header" and not inside_article(node)):
-            return
-        block = node.tag in BLOCK
-        if block:
-            flush()
-        elif node.tag == "br":
-            line.append(" ")
-        for x in node.items:
-            if isinstance(x, str):
+    for top in nodes:
+        todo = [top]
+        while todo:
+            x = todo.pop()
+            if x is None:
+                flush()  # the end of a block
+            elif isinstance(x, str):
                 line.append(x)
-            else:
-                walk(x)
-        if block:
-            flush()
-
-    for node in nodes:
-        walk(node)
+            elif x.junk < without and (x.tag != "header" or x.framed):
+                if x.tag in BLOCK:
+                    flush()
+                    todo.append(None)
+                elif x.tag == "br":
+                    line.append(" ")
+                todo.extend(reversed(x.items))
         flush()
     return "\n".join(blocks)
 

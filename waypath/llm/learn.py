@@ -68,7 +68,11 @@ class Trees:
 
 
 class Isotonic:
-    """Pooled adjacent violators, then straight lines between the pools' centres so order survives."""
+    """Pooled adjacent violators, then straight lines between the pools' centres so order survives.
+
+    A fiftieth of the result is the logistic of the raw score, which keeps rows of one pool
+    in order; the calibrated probability moves by 0.02 at most.
+    """
 
     def fit(self, score: np.ndarray, y: np.ndarray) -> "Isotonic":
         order = np.argsort(score, kind="stable")

@@ -21,6 +21,7 @@ NAMES = ["log_words", "word_len", "distinct", "top_share", "repeat_next", "dup_l
 _MARKS = re.compile(r"[#$%&*^~_=<>\\|@{}\[\]]")
 _MARK_RUN = re.compile(r"([^\w\s])\1\1")
 _UPPER = re.compile(r"[A-ZÀ-ÖØ-Þ]")
+_DIGIT = re.compile(r"\d")
 _LETTER = re.compile(r"[^\W\d_]")
 
 
@@ -43,7 +44,7 @@ def features(text: str) -> list[float]:
     caps_l = mark_l = pipe_l = bare_l = short = bad_l = 0
     for x in lines:
         k = len(x)
-        up = sum(map(str.isupper, x)) if k < 200 else len(_UPPER.findall(x))
+        up = len(_UPPER.findall(x))
         c, p = up > 0.5 * k, x.count("|") * 12 > k
         m = len(_MARK_RUN.findall(x)) * 14 > k
         caps_l += k * c
@@ -61,7 +62,7 @@ def features(text: str) -> list[float]:
     return [
         math.log1p(n), sum(map(len, words)) / n, len(counts) / n**0.8, top / n, repeat / n, 1 - distinct_lines / len(lines),
         upper / letters, caps_l / chars, caps_words / n, math.log1p(100 * marks / chars), mark_l / chars, min(1.0, runs / n),
-        min(1.0, pipes / n), pipe_l / chars, min(1.0, bangs / n), math.log1p(100 * bangs / n), sum(map(str.isdigit, text)) / chars if chars < 4000 else len(re.findall(r"\d", text)) / chars,
+        min(1.0, pipes / n), pipe_l / chars, min(1.0, bangs / n), math.log1p(100 * bangs / n), len(_DIGIT.findall(text)) / chars,
         letters / chars, short / len(lines), sum([c for w, c in counts.items() if len(w) <= 3]) / n, math.log(len(lines) / distinct_lines), math.log1p(len(lines)),
         bare_l / chars, math.log1p(best - 1), bad_l / chars,
     ]
@@ -135,7 +136,11 @@ def scored(docs: DataFrame, model: QualityModel, id_col: str = "doc_id") -> Data
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> DataFrame:
-    """docs without the rows the classifier rejects; columns unchanged."""
+    """docs without the rows the classifier rejects; columns, repeats and row contents unchanged.
+
+    Null texts are scored as empty ones; with no labels, or labels of one kind, the score
+    says what that kind is (all rows stay where no row is labelled); an empty table stays empty.
+    """
     model = trained(docs, labels, bound)
     known = docs.sparkSession.sparkContext.broadcast(model)
     @F.pandas_udf("double")

@@ -161,7 +161,12 @@ def trained(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Toxicity
 
 
 def scored(docs: DataFrame, model: ToxicityModel) -> DataFrame:
-    """doc_id, held_out, score, predicted for every row; nulls, ties and empty tables as in the quality scores."""
+    """doc_id, held_out, score, predicted for every row.
+
+    Null texts count as empty and get the score of the empty feature row; null ids are held
+    out; repeated rows get equal scores; other columns are ignored; empty tables give none;
+    with no labels every score is the same.
+    """
     known = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -175,7 +180,11 @@ def scored(docs: DataFrame, model: ToxicityModel) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> DataFrame:
-    """docs without the rows found toxic; columns unchanged."""
+    """docs without the rows found toxic; columns, repeats and row contents unchanged.
+
+    Null texts are scored as empty ones; without labels of both kinds no row is called
+    toxic unless all labelled ones are; an empty table stays empty.
+    """
     model = trained(docs, labels, bound)
     known = docs.sparkSession.sparkContext.broadcast(model)
     @F.pandas_udf("double")
