@@ -17,7 +17,14 @@ def drop_sequences(terms) -> Column:
 
 
 def drop_stopwords(terms, stop: list[str]) -> Column:
-    return F.array_except(terms, F.array(*[F.lit(s) for s in stop])) if stop else terms
+    return F.filter(terms, lambda t: ~t.isin(stop)) if stop else terms
+
+
+def stop_words(languages: tuple[str, ...] = ("english", "french", "german", "spanish")) -> list[str]:
+    """Spark's own lists of stop words; a few hundred words."""
+    from pyspark.ml.feature import StopWordsRemover
+
+    return sorted({w for x in languages for w in StopWordsRemover.loadDefaultStopWords(x)})
 
 
 def light_stem(term) -> Column:

@@ -9,6 +9,9 @@ from pyspark.sql import functions as F
 
 from ..tables import written
 
+#: How often sample_pairs may draw an object.
+COPIES = 8
+
 
 @dataclass(frozen=True)
 class AssocDataset:
@@ -16,6 +19,8 @@ class AssocDataset:
 
     rel: DataFrame
     name: str = "data"
+    #: What stats() gives, where it is written beside the relation.
+    known_stats: DataFrame | None = None
 
     @classmethod
     def from_sets(cls, df: DataFrame, obj: str, feat: str, name: str = "sets") -> "AssocDataset":
@@ -33,14 +38,23 @@ class AssocDataset:
         return cls(rel.select("obj", "feat", guarded.alias("val")), name)
 
     def kept(self) -> "AssocDataset":
-        """The same relation as a written table, for methods that read it many times."""
-        return AssocDataset(written(self.rel, "rel"), self.name)
+        """The same relation and its statistics as written tables in the order of objects, for methods that read them many times."""
+        rel = written(self.rel.select("obj", "feat", "val").repartition("obj").sortWithinPartitions("obj", "feat"), "rel")
+        return AssocDataset(rel, self.name, written(AssocDataset(rel).stats(), "stats"))
 
     def binary(self) -> "AssocDataset":
-        return AssocDataset(self.rel.select("obj", "feat", F.lit(1.0).alias("val")), self.name)
+        """Every association weighs 1."""
+        one = F.lit(1.0)
+        known = None if self.known_stats is None else self.known_stats.select("obj", "n_feat", F.col("n_feat").cast("double").alias("total"), one.alias("minw"), one.alias("maxw"))
+        return AssocDataset(self.rel.select("obj", "feat", one.alias("val")), self.name, known)
+
+    def objects(self) -> DataFrame:
+        return self.rel.select("obj").distinct() if self.known_stats is None else self.known_stats.select("obj")
 
     def stats(self) -> DataFrame:
         """obj, n_feat, total, minw, maxw."""
+        if self.known_stats is not None:
+            return self.known_stats
         return self.rel.groupBy("obj").agg(F.count(F.lit(1)).alias("n_feat"), F.sum("val").alias("total"), F.min("val").alias("minw"), F.max("val").alias("maxw"))
 
     def profiles(self) -> DataFrame:
@@ -69,24 +83,34 @@ def dataset_profile(ds: AssocDataset) -> DataFrame:
 def sample_pairs(ds: AssocDataset, n: int, seed: int = 42, avoid: DataFrame | None = None) -> DataFrame:
     """pair_id, src, dst: n pairs by a stable hash order, not by chance of the plan.
 
-    Objects are ordered by two seeded hashes and joined by rank, a few more than needed;
-    pairs in ``avoid(a, b)`` (for instance the directly linked ones) are left out.
+    Objects are ordered by two seeded hashes and joined by rank; pairs in ``avoid(a, b)``
+    (for instance the directly linked ones) are left out and more ranks are drawn until n
+    pairs are there or every object has been drawn ``COPIES`` times.
     """
     from pyspark.sql import Window
 
-    objs = ds.rel.select("obj").distinct()
-    many = 3 * n if avoid is not None else n + 8
-    reps = objs.select("obj", F.explode(F.sequence(F.lit(0), F.lit(7))).alias("copy"))
+    objs = ds.objects()
+    most = COPIES * objs.count()
+    links = None
+    if avoid is not None:
+        avoid = written(avoid.select("a", "b"), "avoid")
+        links = avoid.toDF("src", "dst").union(avoid.select(F.col("b").alias("src"), F.col("a").alias("dst")))
+    reps = objs.select("obj", F.explode(F.sequence(F.lit(1), F.lit(COPIES))).alias("copy"))
 
-    def ranked(salt, name):
+    def ranked(salt, name, many):
         h = F.xxhash64(F.lit(seed), F.lit(salt), "obj", "copy")
         top = reps.select(F.col("obj").alias(name), h.alias("h"), "copy").orderBy("h", name, "copy").limit(many)
         return top.select(name, F.row_number().over(Window.orderBy("h", name, "copy")).alias("r"))
 
-    both = ranked(1, "src").join(ranked(2, "dst"), "r").where("src <> dst").dropDuplicates(["src", "dst"])
-    if avoid is not None:
-        links = avoid.select(F.col("a").alias("src"), F.col("b").alias("dst"))
-        both = both.join(links.union(links.select("dst", "src")), ["src", "dst"], "left_anti")
+    many = n + 8 if links is None else 3 * n
+    while True:
+        both = ranked(1, "src", many).join(ranked(2, "dst", many), "r").where("src <> dst").groupBy("src", "dst").agg(F.min("r").alias("r"))
+        if links is not None:
+            both = both.join(links, ["src", "dst"], "left_anti")
+        both = written(both, "drawn")
+        if many >= most or both.count() >= n:
+            break
+        many *= 2
     return both.orderBy("r").limit(n).select(F.row_number().over(Window.orderBy("r")).cast("int").alias("pair_id"), "src", "dst")
 
 

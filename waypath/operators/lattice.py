@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..tables import written
+from ..tables import drop_since, mark, written
 from .dataset import AssocDataset
 
 #: A lattice grows without bound as minsup falls; beyond this many concepts building stops with an error.
@@ -23,6 +24,7 @@ class Lattice:
     minsup: int
 
     def save(self, path: str) -> None:
+        """Write the lattice, so that later searches need not build it."""
         self.concepts.write.mode("overwrite").parquet(f"{path}/concepts")
         self.extents.repartition("cid").sortWithinPartitions("cid").write.mode("overwrite").parquet(f"{path}/extents")
 
@@ -31,31 +33,33 @@ class Lattice:
         return cls(spark.read.parquet(f"{path}/concepts"), spark.read.parquet(f"{path}/extents"), minsup)
 
 
-def build_concepts(ds: AssocDataset, minsup: int | float, min_features: int = 1, most: int = MOST_CONCEPTS) -> Lattice:
+def build_concepts(ds: AssocDataset, minsup: int | float | str, min_features: int = 1, most: int = MOST_CONCEPTS, clique: int | None = None) -> Lattice:
     """All closed (object set, feature set) pairs of at least ``minsup`` objects, level by level.
 
     A concept is extended by a frequent feature beyond its core feature; the features that
     all remaining objects share close it.  It is kept only if closing added no feature below
     the new core, so each concept is met once and no duplicate test is needed.  A level is
-    one pass: the counts that close its concepts are those that extend them.
+    one counting pass, written: the counts that close its concepts are those that extend
+    them.  ``minsup`` is a count, a share of the objects, or 'clique' for the clique size
+    that ``clique`` names.  At the end concepts are numbered in the order of their feature
+    lists, so ids depend on the data alone.
     """
+    if minsup == "clique":
+        if not clique:
+            raise ValueError("minsup='clique' needs the clique size")
+        minsup = clique
+    place = mark()
     n = ds.support(minsup)
     rel = written(ds.rel.join(ds.frequent(n).select("feat"), "feat", "left_semi").select("obj", "feat"), "frequent")
-    objs = ds.rel.select("obj").distinct()
-    level = objs.select(F.lit(0).cast("long").alias("cid"), "obj")
-    cores = None
+    none = F.array().cast("array<bigint>")
+    level = written(ds.objects().select(F.lit(0).cast("long").alias("cid"), "obj"), "level")
+    cores = level.groupBy("cid").agg(F.count(F.lit(1)).alias("support")).select("cid", F.lit(-(2**62)).alias("core"), none.alias("old"), "support")
     found, members = [], []
     total = 0
     while True:
-        counts = level.join(rel, "obj").groupBy("cid", "feat").agg(F.count(F.lit(1)).alias("n"))
-        support = level.groupBy("cid").agg(F.count(F.lit(1)).alias("support"))
-        if cores is None:
-            support = support.withColumn("core", F.lit(-(2**62))).withColumn("old", F.array().cast("array<bigint>"))
-        else:
-            support = support.join(cores, "cid")
-        c = counts.join(support, "cid")
-        closed = c.groupBy("cid").agg(F.sort_array(F.collect_list(F.when(F.col("n") == F.col("support"), F.col("feat")))).alias("intent"))
-        node = support.join(closed, "cid", "left").withColumn("intent", F.coalesce("intent", F.array().cast("array<bigint>")))
+        counts = written(level.join(rel, "obj").groupBy("cid", "feat").agg(F.count(F.lit(1)).alias("n")), "counts")
+        full = counts.join(cores.select("cid", "support"), "cid").where("n = support").groupBy("cid").agg(F.sort_array(F.collect_list("feat")).alias("intent"))
+        node = cores.join(full, "cid", "left").withColumn("intent", F.coalesce("intent", none))
         below = lambda name: F.filter(name, lambda f: f < F.col("core"))
         node = written(node.where(below("intent") == below("old")).select("cid", "core", "intent", F.size("intent").alias("n_feat"), "support"), "concepts")
         made = node.count()
@@ -64,25 +68,30 @@ def build_concepts(ds: AssocDataset, minsup: int | float, min_features: int = 1,
         total += made
         if total > most:
             raise ValueError(f"more than {most} concepts: raise minsup (now {n})")
-        own = written(level.join(node.select("cid"), "cid", "left_semi"), "extents")
-        found.append(node)
-        members.append(own)
-        more = c.join(node.select("cid", "intent"), "cid").where((F.col("n") >= n) & (F.col("n") < F.col("support")) & (F.col("feat") > F.col("core")) & ~F.array_contains("intent", F.col("feat")))
-        more = written(more.select("cid", F.col("feat").alias("core"), F.xxhash64("cid", "feat").alias("next"), F.col("intent").alias("old")), "more")
-        level = own.join(more.select("cid", F.col("core").alias("feat"), "next"), "cid").join(rel, ["obj", "feat"]).select(F.col("next").alias("cid"), "obj")
-        cores = more.select(F.col("next").alias("cid"), "core", "old")
+        depth = F.lit(len(found)).alias("lv")
+        found.append(node.select(depth, "cid", "intent", "n_feat", "support"))
+        own = level.join(node.select("cid"), "cid", "left_semi")
+        members.append(own.select(depth, "cid", "obj"))
+        more = counts.join(node, "cid").where((F.col("n") >= n) & (F.col("n") < F.col("support")) & (F.col("feat") > F.col("core")) & ~F.array_contains("intent", F.col("feat")))
+        # numbers that are written are fixed: no two extensions of a level share one
+        more = written(more.select("cid", F.col("feat").alias("core"), F.monotonically_increasing_id().alias("next"), F.col("intent").alias("old"), F.col("n").alias("support")), "more")
+        if more.isEmpty():
+            break
+        level = written(own.join(more.select("cid", F.col("core").alias("feat"), "next"), "cid").join(rel, ["obj", "feat"]).select(F.col("next").alias("cid"), "obj"), "level")
+        cores = more.select(F.col("next").alias("cid"), "core", "old", "support")
     spark = ds.rel.sparkSession
-    sizes = ds.rel.groupBy("obj").agg(F.count(F.lit(1)).alias("n_obj_feat"))
     if not found:
-        none = spark.createDataFrame([], "cid long, intent array<bigint>, n_feat int, support long")
-        return Lattice(none, spark.createDataFrame([], "cid long, obj long, n_obj_feat long"), n)
-    concepts, extents = found[0], members[0]
-    for a, b in zip(found[1:], members[1:]):
-        concepts, extents = concepts.union(a), extents.union(b)
-    concepts = concepts.where((F.col("n_feat") >= min_features) & (F.col("support") >= n)).select("cid", "intent", "n_feat", "support")
-    concepts = written(concepts, "lattice")
-    extents = written(extents.join(concepts.select("cid"), "cid", "left_semi").join(sizes, "obj").select("cid", "obj", "n_obj_feat"), "lattice")
-    return Lattice(concepts, extents, n)
+        empty = spark.createDataFrame([], "cid long, intent array<bigint>, n_feat int, support long")
+        return Lattice(empty, spark.createDataFrame([], "cid long, obj long, n_obj_feat long"), n)
+    concepts, extents = reduce(DataFrame.union, found), reduce(DataFrame.union, members)
+    concepts = concepts.where((F.col("n_feat") >= min_features) & (F.col("support") >= n))
+    # at most ``most`` rows, so one window may number them
+    numbered = written(concepts.withColumn("id", F.row_number().over(Window.orderBy("intent")).cast("long")), "numbered")
+    sizes = ds.stats().select("obj", F.col("n_feat").alias("n_obj_feat"))
+    held = extents.join(numbered.select("lv", "cid", "id"), ["lv", "cid"]).join(sizes, "obj").select(F.col("id").alias("cid"), "obj", "n_obj_feat")
+    lat = Lattice(written(numbered.select(F.col("id").alias("cid"), "intent", "n_feat", "support"), "lattice"), written(held, "lattice"), n)
+    drop_since(place, [lat.concepts, lat.extents])
+    return lat
 
 
 def pair_support(ds: AssocDataset, per_feature: int = 5) -> int:
@@ -111,26 +120,32 @@ def build_edges(lat: Lattice) -> DataFrame:
     return under.join(via, ["cid", "child_cid"], "left_anti")
 
 
-def rank_extents(lat: Lattice, order: str = "features_desc") -> DataFrame:
-    """(cid, obj, n_obj_feat, rnk): each concept's object list by number of features, ties by id."""
+def rank_extents(lat: Lattice, order: str = "features_desc", top: int | None = None) -> DataFrame:
+    """(cid, obj, n_obj_feat, rnk): each concept's object list by number of features, ties by id.
+
+    With ``top`` only the first places: Spark then cuts every list before it is shuffled, so
+    the list of a concept that holds most objects is never sorted in one task.
+    """
     by = {"features_desc": F.col("n_obj_feat").desc(), "features_asc": F.col("n_obj_feat").asc()}[order]
-    return lat.extents.withColumn("rnk", F.row_number().over(Window.partitionBy("cid").orderBy(by, "obj")))
+    out = lat.extents.withColumn("rnk", F.row_number().over(Window.partitionBy("cid").orderBy(by, "obj")))
+    return out if top is None else out.where(F.col("rnk") <= top)
 
 
-def top_edge(lat: Lattice) -> DataFrame:
+def top_edge(lat: Lattice, edges: DataFrame | None = None) -> DataFrame:
     """(obj, cid, n_feat): concepts of an object with no larger concept that holds it too.
 
-    Per object only its own concepts are compared, by intents.
+    If a larger concept holds the object, so does one that covers this one, so the objects
+    of each concept are struck from what it covers and no concepts are compared by object.
     """
-    own = lat.extents.select("cid", "obj").join(lat.concepts.select("cid", "intent", "n_feat"), "cid")
-    larger = own.select("obj", F.col("cid").alias("lc"), F.col("intent").alias("li"), F.col("n_feat").alias("ln"))
-    beaten = own.join(larger, "obj").where((F.col("ln") > F.col("n_feat")) & (F.size(F.array_except("intent", "li")) == 0)).select("obj", "cid").distinct()
-    return own.join(beaten, ["obj", "cid"], "left_anti").select("obj", "cid", "n_feat")
+    e = build_edges(lat) if edges is None else edges
+    beaten = lat.extents.select("cid", "obj").join(e, "cid").select("obj", F.col("child_cid").alias("cid")).distinct()
+    own = lat.extents.select("cid", "obj").join(beaten, ["obj", "cid"], "left_anti")
+    return own.join(lat.concepts.select("cid", "n_feat"), "cid").select("obj", "cid", "n_feat")
 
 
-def tau(lat: Lattice) -> DataFrame:
+def tau(lat: Lattice, edges: DataFrame | None = None) -> DataFrame:
     """(obj, cid, holds) for every concept that holds the object."""
-    top = top_edge(lat).select("obj", "cid", F.lit(True).alias("t"))
+    top = top_edge(lat, edges).select("obj", "cid", F.lit(True).alias("t"))
     return lat.extents.select("obj", "cid").join(top, ["obj", "cid"], "left").select("obj", "cid", F.coalesce("t", F.lit(False)).alias("holds"))
 
 

@@ -19,12 +19,16 @@ def both_ways(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b", "dist").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"), "dist"))
 
 
-def shortest_costs(edges: DataFrame, sources: DataFrame, max_hops: int = 8) -> DataFrame:
-    """(src, node, cost) of least cost within max_hops hops, by rounds of relaxation; only improved rows travel on."""
+def shortest_costs(edges: DataFrame, sources: DataFrame, max_hops: int | None = None) -> DataFrame:
+    """(src, node, cost) of least cost, by rounds of relaxation until nothing improves; only improved rows travel on.
+
+    ``max_hops`` asks for the least cost within so many hops instead.
+    """
     e = written(both_ways(edges), "edges")
     best = written(sources.select("src", F.col("src").alias("node"), F.lit(0.0).alias("cost")).distinct(), "best")
-    front = best
-    for _ in range(max_hops):
+    front, hops = best, 0
+    while max_hops is None or hops < max_hops:
+        hops += 1
         step = front.join(e, F.col("node") == F.col("a")).groupBy("src", "b").agg(F.min(F.col("cost") + F.col("dist")).alias("new"))
         j = step.join(best.withColumnRenamed("node", "b"), ["src", "b"], "left")
         front = written(j.where(F.col("cost").isNull() | (F.col("new") < F.col("cost") - 1e-12)).select("src", F.col("b").alias("node"), F.col("new").alias("cost")), "front")
@@ -34,14 +38,14 @@ def shortest_costs(edges: DataFrame, sources: DataFrame, max_hops: int = 8) -> D
     return best
 
 
-def dijkstra_rounds(edges: DataFrame, pairs: DataFrame, max_hops: int = 8) -> DataFrame:
+def dijkstra_rounds(edges: DataFrame, pairs: DataFrame, max_hops: int | None = None) -> DataFrame:
     """(pair_id, cost): least cost of each pair over the built network; missing where there is no path."""
     best = shortest_costs(edges, pairs.select("src"), max_hops)
     return pairs.join(best.withColumnRenamed("node", "dst"), ["src", "dst"]).select("pair_id", "cost")
 
 
-def bfs_hops(edges: DataFrame, sources: DataFrame, max_hops: int = 8) -> DataFrame:
-    """(src, node, hops)."""
+def bfs_hops(edges: DataFrame, sources: DataFrame, max_hops: int | None = None) -> DataFrame:
+    """(src, node, hops) of every node that can be reached."""
     ones = edges.select("a", "b", F.lit(1.0).alias("dist"))
     return shortest_costs(ones, sources, max_hops).select("src", "node", F.col("cost").cast("int").alias("hops"))
 

@@ -1,28 +1,38 @@
 """Best-first search over a network that is never built: batched rounds shared by all pairs.
 
-A round pops the least-f open objects of every unfinished pair, expands the objects that no
-earlier round expanded (successors don't depend on the goal, so one expansion serves all
-pairs), evaluates candidates and merges them into the state.  State and expansions are
-written tables; the driver reads two counts a round.
+Successors don't depend on the goal, so an object is expanded once for all pairs.  A round
+expands what the searches asked for, as DataFrame joins over all pairs together, bounds the
+new candidates' distances to the goals, and then replays every unfinished pair's search over
+all arcs known for it, in exact best-first order, until it ends or pops an object that is
+not expanded yet.  A search asks for a few open objects ahead, four times as many each
+round, so rounds grow with the logarithm of the objects explored.  All that passes between
+rounds are written tables of arcs: a lost executor repeats a step, not the search, and the
+driver only learns whether anything is left.
 """
 
 from __future__ import annotations
 
+import heapq
 import time
+from functools import reduce
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.dataset import AssocDataset
 from ..operators.distance import hammock_pairs, pair_distance, passes
 from ..operators.lattice import Lattice, build_edges, longest_concept, rank_extents
-from ..operators.successors import CoverTreeIndex, candidate_cliques, kcnn, kcnn_candidates, min_candidates, nna, nna_cliques, verify_cliques
+from ..operators.successors import CoverTreeIndex, kcnn, kcnn_candidates, min_candidates, nna, nna_cliques, rank_combinations, verify_cliques
 from ..operators.truncate import TruncatedDataset, mixed_distance, truncate
 from ..functions.columns import ebf
-from ..tables import written
+from ..tables import drop_since, mark, written
 from .spec import SearchSpec
 
-RESULT = ["pair_id", "src", "dst", "outcome", "hops", "cost", "nodes", "steps", "cliques", "nodes_explored", "rounds", "ebf"]
+RESULT = ["pair_id", "src", "dst", "outcome", "hops", "cost", "nodes", "steps", "cliques", "nodes_explored", "rounds", "elapsed_ms", "ebf"]
+#: A search asks for at most so many objects ahead.
+MOST_AHEAD = 256
 
 
 class Expander:
@@ -38,7 +48,8 @@ class Expander:
             if spec.successors == "nna":
                 self.edges = written(build_edges(lattice), "covers")
             else:
-                self.ranked = written(rank_extents(lattice, "features_desc" if spec.order == "closest" else spec.order), "ranked")
+                top = None if spec.order == "closest" else min_candidates(spec.others, spec.b) + 1
+                self.ranked = written(rank_extents(lattice, "features_desc" if spec.order == "closest" else spec.order, top), "ranked")
                 self.longest = written(longest_concept(lattice), "longest")
         if spec.successors == "cover" and index is None:
             self.index = CoverTreeIndex.build(ds)
@@ -54,10 +65,11 @@ class Expander:
                 got = self.index.knn(objs, s.b, s.theta).select("obj", "nbr", "dist")
             return got.withColumn("clique", F.sort_array(F.array("obj", "nbr")))
         if s.successors == "kcnn":
-            sets = kcnn(self.lattice, self.ds, objs, s.k, s.b, s.arity, s.order, s.fallback, self.ranked, self.longest)
+            good = kcnn(self.lattice, self.ds, objs, s.k, s.b, s.arity, s.order, s.fallback, self.ranked, self.longest, s.theta, s.width)
         else:
-            sets = nna_cliques(self.lattice, self.ds, objs, s.k, s.b, s.arity, self.edges)
-        good = written(verify_cliques(self.ds, sets, s.theta, s.width), "cliques")
+            # ordered by Jaccard, checked by the search's own distance
+            good = verify_cliques(self.ds, written(nna_cliques(self.lattice, self.ds, objs, s.k, s.b, s.arity, self.edges), "sets"), s.theta, s.width)
+        good = written(good, "cliques")
         one = good.select("obj", F.explode("members").alias("nbr"), "score", F.sort_array(F.array_union("members", F.array("obj"))).alias("clique"))
         one = one.groupBy("obj", "nbr").agg(F.min(F.struct("score", "clique")).alias("x")).select("obj", "nbr", F.col("x.clique").alias("clique"))
         d = pair_distance(self.ds, one.select(F.col("obj").alias("a"), F.col("nbr").alias("b"))).select(F.col("a").alias("obj"), F.col("b").alias("nbr"), "dist")
@@ -71,9 +83,10 @@ class Expander:
         return nna(self.lattice, self.ds, objs, m, edges=self.edges).select("obj", "nbr", F.col("rnk").alias("crank"))
 
     def __call__(self, objs: DataFrame) -> DataFrame:
+        """(obj, nbr, dist, clique) of all objects asked for so far."""
         ask = objs.select("obj").distinct()
         new = written(ask if self.asked is None else ask.join(self.asked, "obj", "left_anti"), "asked")
-        if not new.isEmpty():
+        if self.known is None or not new.isEmpty():
             got = written(self._fresh(new), "expanded")
             self.known = got if self.known is None else self.known.union(got)
             self.asked = new if self.asked is None else self.asked.union(new)
@@ -94,118 +107,161 @@ def goal_links(ex: Expander, near: DataFrame) -> DataFrame:
     m = min_candidates(s.others, s.b)
     cands = ex.candidates(near.select(F.col("node").alias("obj")), m)
     j = near.join(cands, near["node"] == cands["obj"]).where("nbr <> dst").select("pair_id", "node", "dst", "nbr", "crank")
-    d = pair_distance(ex.ds, j.select(F.col("dst").alias("a"), F.col("nbr").alias("b")).union(j.select(F.col("node").alias("a"), F.col("nbr").alias("b"))).distinct())
-    ok = written(d.where(passes(s.theta, s.width)).select("a", "b"), "ok")
-    j = j.join(ok.select(F.col("a").alias("dst"), F.col("b").alias("nbr")), ["dst", "nbr"], "left_semi").join(ok.select(F.col("a").alias("node"), F.col("b").alias("nbr")), ["node", "nbr"], "left_semi")
-    spark = ex.ds.rel.sparkSession
+    ends = [j.select(F.least("nbr", e).alias("a"), F.greatest("nbr", e).alias("b"), F.lit(0)) for e in ("node", "dst")]
+    ok = written(pair_distance(ex.ds, ends[0].union(ends[1]).select("a", "b")).where(passes(s.theta, s.width)).select("a", "b"), "ok")
+    for e in ("node", "dst"):
+        both = ok.union(ok.select("b", "a")).toDF(e, "nbr")
+        j = j.join(both, [e, "nbr"], "left_semi")
+    # what is left is near both ends: rank it by pair and ask for a clique among it
+    lists = j.withColumn("crank", F.row_number().over(Window.partitionBy("pair_id", "node").orderBy("crank")))
+    lists = written(lists, "lists")
     if fill == 1:
-        best = j.groupBy("pair_id", "node", "dst").agg(F.min(F.struct("crank", "nbr")).alias("x"))
-        return best.select("pair_id", "node", "dst", F.sort_array(F.array("node", "dst", "x.nbr")).alias("clique"))
-    key = F.struct("pair_id", "node", "dst")
-    lists = j.select(F.xxhash64(key).alias("obj"), key.alias("key"), "nbr", "crank")
-    w = Window.partitionBy("obj").orderBy("crank")
-    lists = written(lists.withColumn("crank", F.row_number().over(w)), "lists")
-    pairs = lists.alias("x").join(lists.alias("y"), "obj").where("x.nbr < y.nbr").select(F.col("x.nbr").alias("a"), F.col("y.nbr").alias("b")).distinct()
-    okk = pair_distance(ex.ds, pairs).where(passes(s.theta, s.width)).select("a", "b")
-    # adjacency of a candidate as a bit mask over the ranks of the list: a clique is then a mask test
-    bits = lists.alias("x").join(lists.alias("y"), "obj").where("x.nbr <> y.nbr").select("obj", F.col("x.crank").alias("i"), F.col("y.crank").alias("j"), F.least("x.nbr", "y.nbr").alias("a"), F.greatest("x.nbr", "y.nbr").alias("b"))
-    bits = bits.join(okk, ["a", "b"]).groupBy("obj", "i").agg(F.bit_or(F.expr("shiftleft(1L, j - 1)")).alias("adj"))
-    adj = lists.join(bits.withColumnRenamed("i", "crank"), ["obj", "crank"], "left").groupBy("obj").agg(
-        F.first("key").alias("key"), F.array_sort(F.collect_list(F.struct("crank", "nbr", F.expr("coalesce(adj, 0L) | shiftleft(1L, crank - 1)").alias("adj")))).alias("list"))
-    from ..operators.successors import rank_combinations
-
-    combos = F.broadcast(rank_combinations(spark, m, fill))
-    t = adj.join(combos, F.element_at("picks", -1) <= F.size("list")).where(F.expr("forall(picks, r -> (list[r - 1].adj & mask) = mask)"))
-    best = t.groupBy("obj").agg(F.min(F.struct("combo", F.expr("transform(picks, r -> list[r - 1].nbr)").alias("members"), "key")).alias("x"))
-    return best.select("x.key.*", F.sort_array(F.array_union("x.members", F.array("x.key.node", "x.key.dst"))).alias("clique"))
+        best = lists.where("crank = 1")
+        return best.select("pair_id", "node", "dst", F.sort_array(F.array("node", "dst", "nbr")).alias("clique"))
+    pairs = lists.alias("x").join(lists.alias("y"), ["pair_id", "node"]).where("x.crank < y.crank").select("pair_id", "node", F.col("x.crank").alias("i"), F.col("y.crank").alias("j"), F.least("x.nbr", "y.nbr").alias("a"), F.greatest("x.nbr", "y.nbr").alias("b"))
+    pairs = written(pairs, "between")
+    good = pair_distance(ex.ds, pairs.select("a", "b")).where(passes(s.theta, s.width)).select("a", "b")
+    linked = pairs.join(good, ["a", "b"]).select("pair_id", "node", F.explode(F.array(F.struct("i", "j"), F.struct(F.col("j").alias("i"), F.col("i").alias("j")))).alias("x"))
+    bits = linked.groupBy("pair_id", "node", F.col("x.i").alias("crank")).agg(F.bit_or(F.expr("shiftleft(1L, x.j - 1)")).alias("links"))
+    full = lists.join(bits, ["pair_id", "node", "crank"], "left").groupBy("pair_id", "node", "dst").agg(
+        F.array_sort(F.collect_list(F.struct("crank", "nbr", F.expr("coalesce(links, 0L) | shiftleft(1L, crank - 1)").alias("links")))).alias("list"))
+    combos = F.broadcast(rank_combinations(ex.ds.rel.sparkSession, m, fill))
+    t = full.join(combos, F.element_at("picks", -1) <= F.size("list")).where(F.expr("forall(picks, r -> (list[r - 1].links & mask) = mask)"))
+    best = t.groupBy("pair_id", "node", "dst").agg(F.min(F.struct("combo", F.expr("transform(picks, r -> list[r - 1].nbr)").alias("members"))).alias("x"))
+    return best.select("pair_id", "node", "dst", F.sort_array(F.array_union("x.members", F.array("node", "dst"))).alias("clique"))
 
 
 def find_paths(ds: AssocDataset, pairs: DataFrame, spec: SearchSpec, lattice: Lattice | None = None, index: CoverTreeIndex | None = None, truncated: TruncatedDataset | None = None, minsup: int | float = 2) -> DataFrame:
     """One row per pair(pair_id, src, dst) with the columns of RESULT.
 
-    outcome is found, no_path (nothing left to pop) or budget (rounds, nodes or time ran
+    outcome is found, no_path (nothing left to pop) or budget (nodes, rounds or time ran
     out).  A path is accepted when its goal is popped, so costs are least among what the
     successors offer.  In mixed mode the goal distance is the lower bound from the truncated
-    data; it may be inconsistent, so closed objects re-open.
+    data; it may be inconsistent, so closed objects re-open.  The goal distance itself is
+    read only where it bounds (normal mode) and at objects that are expanded, for the link
+    to the goal.  A pair of one object is found at once; a pair with an unknown object has
+    no path.
     """
-    began = time.time()
+    place, began = mark(), time.time()
+    spark = ds.rel.sparkSession
     ex = Expander(ds, spec, lattice, index)
-    td = truncated or (truncate(ds, minsup) if spec.mode == "mixed" else None)
-    pairs = written(pairs.select(F.col("pair_id").cast("long").alias("pair_id"), "src", "dst"), "pairs")
-    known = ds.rel.select(F.col("obj").alias("src")).distinct()
-    valid = written(pairs.join(known, "src", "left_semi").join(known.withColumnRenamed("src", "dst"), "dst", "left_semi"), "pairs")
-
-    def to_goal(rows: DataFrame) -> DataFrame:
-        """rows(pair_id, node, dst) with h and the true test against the goal."""
-        ask = rows.select(F.col("node").alias("a"), F.col("dst").alias("b")).distinct()
-        d = pair_distance(ds, ask.where("a <> b")).select("a", "b", "dist", "width")
-        d = d.union(ask.where("a = b").select("a", "b", F.lit(0.0), F.lit(2**31).cast("long")))
-        if spec.mode == "mixed":
-            mx = mixed_distance(td, ask.where("a <> b"), t_mode=spec.t_mode)
-            d = d.join(mx, ["a", "b"], "left").select("a", "b", "dist", "width", F.coalesce("mixed", F.lit(0.0)).alias("h"))
-        else:
-            d = d.withColumn("h", F.col("dist"))
+    td = truncated or (truncate(ds, minsup) if spec.mode == "mixed" and spec.heuristic != "zero" else None)
+    if td is not None and truncated is None:
+        td = TruncatedDataset(AssocDataset(written(td.kept.rel, "kept")), written(td.stat, "kept"))
+    pairs = written(pairs.select(F.col("pair_id").cast("long").alias("pair_id"), F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst")), "pairs")
+    known = ds.objects()
+    valid = pairs.join(known.withColumnRenamed("obj", "src"), "src", "left_semi").join(known.withColumnRenamed("obj", "dst"), "dst", "left_semi")
+    open_pairs = written(valid.select("pair_id", "src", "dst"), "open")
+
+    def bound(rows: DataFrame) -> DataFrame:
+        """(node, dst, h) of distinct rows(node, dst)."""
         if spec.heuristic == "zero":
-            d = d.withColumn("h", F.lit(0.0))
-        return rows.join(d.select(F.col("a").alias("node"), F.col("b").alias("dst"), "h", "dist", "width"), ["node", "dst"])
-
-    start = to_goal(valid.select("pair_id", F.col("src").alias("node"), "dst"))
-    cols = ["pair_id", "dst", "node", "g", "h", "near", "gd", "nodes", "steps", "cliques", "open"]
-    state = start.select(
-        "pair_id", "dst", "node", F.lit(0.0).alias("g"), "h", (passes(spec.theta, spec.width) & (F.col("node") != F.col("dst"))).alias("near"), F.col("dist").alias("gd"),
-        F.array("node").alias("nodes"), F.array().cast("array<double>").alias("steps"), F.array().cast("array<array<bigint>>").alias("cliques"), F.lit(True).alias("open"))
-    state = written(state.select(*cols), "state")
-    finished = None
-    explored = None
-    rounds = 0
-    empty = None
-    while rounds < spec.max_rounds and time.time() - began < spec.time_limit_s:
-        alive = state if finished is None else state.join(finished.select("pair_id"), "pair_id", "left_anti")
-        f = F.round(F.col("g") + F.col("h"), 9)
-        w = Window.partitionBy("pair_id").orderBy(f, F.desc("g"), "node")
-        popped = written(alive.where("open").withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= spec.pop), "popped")
-        if popped.isEmpty():
-            empty = True
-            break
+            return rows.select("node", "dst", F.lit(0.0).alias("h"))
+        ask = rows.select(F.col("node").alias("a"), F.col("dst").alias("b"))
+        d = mixed_distance(td, ask, t_mode=spec.t_mode).withColumnRenamed("mixed", "h") if spec.mode == "mixed" else pair_distance(ds, ask).withColumnRenamed("dist", "h")
+        return rows.join(d.select(F.col("a").alias("node"), F.col("b").alias("dst"), "h"), ["node", "dst"]).select("node", "dst", F.when(F.col("node") == F.col("dst"), 0.0).otherwise(F.col("h")).alias("h"))
+
+    want = open_pairs.where("src <> dst").select("pair_id", F.col("src").alias("node"), "dst")
+    arcs, ended = [], [written(open_pairs.where("src = dst").select(
+        "pair_id", F.lit("found").alias("outcome"), F.array("src").alias("nodes"), F.lit(0.0).alias("cost"), F.lit(0).cast("long").alias("nodes_explored"), F.lit(0).alias("rounds"), F.lit(0.0).alias("elapsed_ms")), "ended")]
+    rounds, ahead = 0, spec.pop
+    while True:
         rounds += 1
-        goal = popped.where("node = dst AND __r = 1").select("pair_id", "g", "nodes", "steps", "cliques", F.lit(rounds).alias("rounds"))
-        goal = written(goal, "goal")
-        finished = goal if finished is None else finished.union(goal)
-        popped = popped.where("node <> dst").join(goal.select("pair_id"), "pair_id", "left_anti")
-        step = popped.groupBy("pair_id").agg(F.count(F.lit(1)).alias("n"))
-        explored = written(step if explored is None else explored.union(step).groupBy("pair_id").agg(F.sum("n").alias("n")), "explored")
-        nxt = ex(popped.select(F.col("node").alias("obj")))
-        base = popped.select("pair_id", "dst", "node", "g", "nodes", "steps", "cliques")
-        moves = base.join(nxt, base["node"] == nxt["obj"]).where(~F.array_contains("nodes", F.col("nbr"))) if nxt is not None else None
-        new = moves.select("pair_id", "dst", F.col("nbr").alias("node"), (F.col("g") + F.col("dist")).alias("g"), F.array_append("nodes", F.col("nbr")).alias("nodes"), F.array_append("steps", F.col("dist")).alias("steps"), F.array_append("cliques", F.col("clique")).alias("cliques"))
+        want = written(want, "want")
+        nxt = ex(want.select(F.col("node").alias("obj")))
+        step = [want.join(nxt, want["node"] == nxt["obj"]).select("pair_id", "node", "dst", "nbr", "dist", "clique")]
         if spec.link_goal:
-            near = popped.where("near").select("pair_id", "node", "dst", "g", "gd", "nodes", "steps", "cliques")
-            link = goal_links(ex, near.select("pair_id", "node", "dst")).select("pair_id", F.col("node").alias("__n"), "clique")
-            reach = near.join(link, "pair_id").where("node = __n")
-            new = new.union(reach.select("pair_id", "dst", F.col("dst").alias("node"), (F.col("g") + F.col("gd")).alias("g"), F.array_append("nodes", F.col("dst")).alias("nodes"), F.array_append("steps", F.col("gd")).alias("steps"), F.array_append("cliques", F.col("clique")).alias("cliques")))
-        best = new.groupBy("pair_id", "node").agg(F.min(F.struct("g", F.size("nodes").alias("len"), "nodes", "steps", "cliques", "dst")).alias("x"))
-        best = best.select("pair_id", "node", "x.*").drop("len")
-        best = written(to_goal(best).select("pair_id", "dst", "node", "g", "h", (passes(spec.theta, spec.width) & (F.col("node") != F.col("dst"))).alias("near"), F.col("dist").alias("gd"), "nodes", "steps", "cliques", F.lit(True).alias("open")), "best")
-        closed = popped.select("pair_id", "node", F.lit(True).alias("__closed"))
-        rest = state.join(goal.select("pair_id"), "pair_id", "left_anti").join(closed, ["pair_id", "node"], "left").withColumn("open", F.col("open") & F.col("__closed").isNull()).select(*cols)
-        both = rest.withColumn("__old", F.lit(0)).union(best.select(*cols).withColumn("__old", F.lit(1)))
-        pick = F.min(F.struct(F.round("g", 12).alias("gr"), "__old", *[c for c in cols if c not in ("pair_id", "node")])).alias("x")
-        agg = both.groupBy("pair_id", "node").agg(pick, F.max(F.when(F.col("__old") == 0, ~F.col("open"))).alias("was_closed"))
-        if spec.reopens:
-            merged = agg.select("pair_id", "node", "x.*")
-        else:
-            # a consistent bound never improves a closed object: keep it closed
-            merged = agg.select("pair_id", "node", "x.*", "was_closed").withColumn("open", F.col("open") & ~F.coalesce("was_closed", F.lit(False)))
-        state = written(merged.select(*cols), "state")
-        if explored.where(F.col("n") < spec.max_nodes).isEmpty():
+            near = pair_distance(ds, want.select(F.col("node").alias("a"), F.col("dst").alias("b"))).where(passes(spec.theta, spec.width))
+            near = written(want.join(near.select(F.col("a").alias("node"), F.col("b").alias("dst"), "dist"), ["node", "dst"]).select("pair_id", "node", "dst", "dist"), "near")
+            link = goal_links(ex, near.select("pair_id", "node", "dst"))
+            step.append(near.join(link.select("pair_id", "node", "clique"), ["pair_id", "node"]).select("pair_id", "node", "dst", F.col("dst").alias("nbr"), "dist", "clique"))
+        new = written(reduce(DataFrame.union, step), "moves")
+        # an expanded object without successors stays as a row, so that the replay knows it
+        bounded = new.join(bound(new.select(F.col("nbr").alias("node"), "dst").distinct()).withColumnRenamed("node", "nbr"), ["nbr", "dst"])
+        told = want.select("pair_id", "node", F.lit(None).cast("long").alias("nbr"), F.lit(0.0).alias("dist"), F.lit(0.0).alias("h"), F.lit(None).cast("array<bigint>").alias("clique"))
+        arcs.append(written(bounded.select("pair_id", "node", "nbr", "dist", "h", "clique").union(told), "arcs"))
+        everything = reduce(DataFrame.union, arcs).join(open_pairs, "pair_id")
+        state = written(_replayed(everything, spec, ahead), "replay")
+        late = rounds >= spec.max_rounds or time.time() - began >= spec.time_limit_s
+        done = state.where("outcome <> 'want'").select("pair_id", "outcome", "nodes", "cost", "nodes_explored")
+        if late:
+            done = done.union(state.where("outcome = 'want'").groupBy("pair_id").agg(F.first("nodes_explored").alias("n")).select("pair_id", F.lit("budget"), F.lit(None).cast("array<bigint>"), F.lit(None).cast("double"), "n"))
+        ended.append(written(done.withColumn("rounds", F.lit(rounds)).withColumn("elapsed_ms", F.lit(round(1000 * (time.time() - began), 1))), "ended"))
+        want = state.where("outcome = 'want'").select("pair_id", "node")
+        if late or want.isEmpty():
             break
-    done = finished if finished is not None else state.limit(0).select("pair_id", "g", "nodes", "steps", "cliques", F.lit(0).alias("rounds"))
-    waiting = state.join(done.select("pair_id"), "pair_id", "left_anti").groupBy("pair_id").agg(F.max("open").alias("waiting"))
-    out = pairs.join(done, "pair_id", "left").join(waiting, "pair_id", "left")
-    out = out.join(explored if explored is not None else waiting.select("pair_id", F.lit(0).cast("long").alias("n")).limit(0), "pair_id", "left")
-    outcome = F.when(F.col("g").isNotNull(), "found").when(F.lit(empty is None) & F.coalesce("waiting", F.lit(False)), "budget").otherwise("no_path")
-    hops = F.when(F.col("g").isNotNull(), F.size("nodes") - 1)
-    n = F.coalesce("n", F.lit(0)).cast("long")
-    out = out.select("pair_id", "src", "dst", outcome.alias("outcome"), hops.alias("hops"), F.col("g").alias("cost"), "nodes", "steps", "cliques", n.alias("nodes_explored"), F.coalesce("rounds", F.lit(rounds)).alias("rounds"))
-    out = out.withColumn("ebf", F.when(F.col("hops") > 0, ebf(F.col("nodes_explored"), F.col("hops"))))
-    return written(out.select(*RESULT), "paths")
+        open_pairs = written(open_pairs.join(want.select("pair_id").distinct(), "pair_id"), "open")
+        want = want.join(open_pairs.select("pair_id", "dst"), "pair_id").select("pair_id", "node", "dst")
+        ahead = min(4 * ahead, MOST_AHEAD)
+    done = reduce(DataFrame.union, ended)
+    hops = done.where(F.size("nodes") > 1).select("pair_id", F.posexplode(F.expr("transform(sequence(1, size(nodes) - 1), i -> struct(nodes[i - 1] AS node, nodes[i] AS nbr))")).alias("i", "hop")).select("pair_id", "i", "hop.node", "hop.nbr")
+    arc = reduce(DataFrame.union, arcs).where("nbr IS NOT NULL").groupBy("pair_id", "node", "nbr").agg(F.min(F.struct("dist", "clique")).alias("x"))
+    walked = hops.join(arc, ["pair_id", "node", "nbr"]).groupBy("pair_id").agg(F.array_sort(F.collect_list(F.struct("i", F.col("x.dist").alias("dist"), F.col("x.clique").alias("clique")))).alias("x"))
+    out = pairs.join(done, "pair_id", "left").join(walked, "pair_id", "left")
+    out = out.select(
+        "pair_id", "src", "dst", F.coalesce("outcome", F.lit("no_path")).alias("outcome"), F.when(F.col("nodes").isNotNull(), F.size("nodes") - 1).alias("hops"), "cost", "nodes",
+        F.when(F.col("nodes").isNotNull(), F.coalesce("x.dist", F.array().cast("array<double>"))).alias("steps"), F.when(F.col("nodes").isNotNull(), F.coalesce("x.clique", F.array().cast("array<array<bigint>>"))).alias("cliques"),
+        F.coalesce("nodes_explored", F.lit(0)).cast("long").alias("nodes_explored"), F.coalesce("rounds", F.lit(0)).alias("rounds"), F.coalesce("elapsed_ms", F.lit(0.0)).alias("elapsed_ms"))
+    out = written(out.withColumn("ebf", F.when(F.col("hops") > 0, ebf(F.col("nodes_explored"), F.col("hops")))).select(*RESULT), "paths")
+    drop_since(place, [out])
+    return out
+
+
+def _replayed(arcs: DataFrame, spec: SearchSpec, ahead: int) -> DataFrame:
+    """(pair_id, outcome, node, nodes, cost, nodes_explored) after running each pair's search over its known arcs.
+
+    A search that pops an object whose successors are not known yet stops with rows of
+    outcome 'want': that object and the best others it holds open, ``ahead`` in all.  What is
+    asked for ahead and never popped is not counted as explored.  A pair's arcs are bounded
+    by the nodes it may explore times the branching cap, whatever the size of the data.
+    """
+    reopens, most = spec.reopens, spec.max_nodes
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pair, src, dst = int(pdf["pair_id"].iat[0]), int(pdf["src"].iat[0]), int(pdf["dst"].iat[0])
+        node, dist, h = pdf["node"].to_numpy(), pdf["dist"].to_numpy(), pdf["h"].to_numpy()
+        nbr = pdf["nbr"].fillna(-1).to_numpy().astype("int64")
+        real = pdf["nbr"].notna().to_numpy()
+        order = np.lexsort((nbr, node))
+        starts = np.flatnonzero(np.r_[True, node[order][1:] != node[order][:-1]])
+        at = {int(node[order[s]]): order[s:e] for s, e in zip(starts, np.r_[starts[1:], len(order)])}
+        best, parent, closed = {src: 0.0}, {src: None}, set()
+        heap = [(0.0, -0.0, src)]
+        explored = 0
+
+        def rows(outcome, wanted=(None,), nodes=None, cost=None):
+            return pd.DataFrame({"pair_id": pair, "outcome": outcome, "node": pd.array(list(wanted), "Int64"), "nodes": [nodes] * len(wanted), "cost": pd.array([cost] * len(wanted), "Float64"), "nodes_explored": explored})
+
+        while heap:
+            f, minus, o = heapq.heappop(heap)
+            if o in closed or -minus > best[o] + 1e-12:
+                continue
+            if o == dst:
+                path, x = [], o
+                while x is not None:
+                    path.append(x)
+                    x = parent[x]
+                return rows("found", nodes=path[::-1], cost=best[dst])
+            if explored >= most:
+                return rows("budget")
+            if o not in at:
+                wanted = [o]
+                while heap and len(wanted) < ahead:
+                    _, minus, x = heapq.heappop(heap)
+                    if x not in closed and x not in at and x != dst and x not in wanted and -minus <= best[x] + 1e-12:
+                        wanted.append(x)
+                return rows("want", wanted)
+            closed.add(o)
+            explored += 1
+            g = best[o]
+            for i in at[o]:
+                if not real[i]:
+                    continue
+                x, new = int(nbr[i]), g + dist[i]
+                if new < best.get(x, np.inf) - 1e-12 and (reopens or x not in closed):
+                    best[x], parent[x] = new, o
+                    closed.discard(x)
+                    heapq.heappush(heap, (round(new + h[i], 9), -new, x))
+        return rows("no_path")
+
+    return arcs.select("pair_id", "src", "dst", "node", "nbr", "dist", "h").groupBy("pair_id").applyInPandas(run, "pair_id long, outcome string, node long, nodes array<long>, cost double, nodes_explored long")

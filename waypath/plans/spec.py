@@ -21,13 +21,12 @@ class SearchSpec:
     fallback: str = "none"  # none | next_concept
     link_goal: bool = True
     goal_clique: str = "required"  # required | hammock
-    pop: int = 1
+    pop: int = 4  # objects a search asks for in its first round; what it explores does not depend on it
     reopen: bool | None = None
     t_mode: str = "sum"
-    time_limit_s: float = 120.0
-    max_rounds: int = 40
+    time_limit_s: float = float("inf")  # of a whole batch of pairs; the paper's searches had 120 s each
+    max_rounds: int = 200
     max_nodes: int = 100_000
-    seed: int = 42
 
     def __post_init__(self):
         if (self.theta is None) == (self.width is None):

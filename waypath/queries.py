@@ -7,49 +7,46 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import twins
 from .functions import columns as C
+from .functions import text
 from .functions.sql import register
 from .operators import distance, lattice, network, successors, truncate as cut
 from .operators.dataset import AssocDataset, dataset_profile, random_intersection, sample_pairs
 from .plans import measures
 from .plans.search import find_paths
 from .plans.spec import SearchSpec
+from .registry import QUERIES, SQL, built, query, r9
 from .sources import carriers
 from .streaming import events as ev
 from .tables import table, written
 
 # Settings of the registered workloads; the operators take any.
 THETA, WIDTH, MINSUP, MINSHARE = 0.95, 2, 10, 0.075
-N_PAIRS, ROUNDS = 6, 8
+#: Goals of each source of a search; branching cap of the registered searches (the paper's); threshold of those over the dense relation.
+TARGETS, CAP, DENSE_THETA = 5, 20, 0.93
+PBC, REL, PAIRS = twins.PBC, twins.REL, twins.PAIRS
 
-QUERIES: dict = {}
-SQL: dict[str, str] = {}
 
-
-def query(sql: str | None = None):
-    def add(f):
-        QUERIES[f.__name__] = f
-        if sql:
-            SQL[f.__name__] = sql
-        return f
-    return add
+def _pbc(spark: SparkSession, sf_dir: str) -> AssocDataset:
+    return carriers.parts_by_customers(spark, sf_dir)
 
 
-def r9(c):
-    return F.round(c, 9)
+def _kept(spark: SparkSession, sf_dir: str, carrier: str = "parts_by_customers") -> AssocDataset:
+    """A carrier's relation, written once in an application."""
+    return built(spark, (sf_dir, carrier), lambda: carriers.CARRIERS[carrier](spark, sf_dir).kept(), lambda ds: [ds.rel, ds.stats()])
 
 
-PBC = "SELECT l_partkey AS obj, o_custkey AS feat, sum(l_quantity) AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2"
-REL = f"WITH rel AS ({PBC}), st AS (SELECT obj, count(*) AS n_feat, sum(val) AS total, min(val) AS minw, max(val) AS maxw FROM rel GROUP BY obj)"
-PAIRS = REL + """, j AS (SELECT x.obj AS a, y.obj AS b, count(*) AS width, sum(least(x.val, y.val)) AS smin
-  FROM rel x JOIN rel y ON x.feat = y.feat AND x.obj < y.obj GROUP BY 1, 2),
-d AS (SELECT a, b, width, 1.0 - smin / (p.total + q.total - smin) AS dist,
-  1.0 - width::DOUBLE / (p.n_feat + q.n_feat - width) AS sdist, p.n_feat AS na, q.n_feat AS nb
-  FROM j JOIN st p ON p.obj = a JOIN st q ON q.obj = b)"""
+def _pairs(ds: AssocDataset, theta: float = THETA, targets: int = TARGETS) -> DataFrame:
+    """pair_id, src, dst: every object with an id divisible by 100 asks for ``targets`` others that lie anywhere and are not linked to it.
 
-
-def _pbc(spark: SparkSession, sf_dir: str) -> AssocDataset:
-    return carriers.parts_by_customers(spark, sf_dir)
+    The goals come from the id by arithmetic, so SQL can ask for the same.
+    """
+    n = ds.objects().count()
+    p = ds.objects().where("obj % 100 = 0").select(F.col("obj").alias("src"), F.explode(F.sequence(F.lit(0), F.lit(targets - 1))).alias("t"))
+    p = written(p.select((F.col("src") * 1000 + F.col("t")).alias("pair_id"), "src", F.pmod(F.col("src") * 31 + F.col("t") * 97 + 17, F.lit(max(1, n))).alias("dst")).where("src <> dst"), "pairs")
+    linked = distance.pair_distance(ds, p.select(F.col("src").alias("a"), F.col("dst").alias("b"))).where(distance.passes(theta, None))
+    return written(p.join(linked.select(F.col("a").alias("src"), F.col("b").alias("dst")), ["src", "dst"], "left_anti").select("pair_id", "src", "dst"), "pairs")
 
 
 # ---------------------------------------------------------------- datasets
@@ -58,6 +55,8 @@ def _pbc(spark: SparkSession, sf_dir: str) -> AssocDataset:
 UNION ALL SELECT 'suppliers_by_customers', l_suppkey, o_custkey::VARCHAR FROM lineitem JOIN orders ON l_orderkey = o_orderkey
 UNION ALL SELECT 'parts_by_suppliers', l_partkey, l_suppkey::VARCHAR FROM lineitem
 UNION ALL SELECT 'documents_by_terms', doc_id, unnest(regexp_extract_all(lower(text), '\\p{L}{3,}')) FROM documents
+UNION ALL SELECT 'pages_by_terms', page_id, unnest(regexp_extract_all(lower(regexp_replace(regexp_replace(html, '(?is)<(script|style)\\b.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g')), '\\p{L}{3,}')) FROM pages
+UNION ALL SELECT 'embeddings_by_dims', vec_id, (2 * (i - 1) + (embedding[i] < 0)::INT)::VARCHAR FROM embeddings, unnest(generate_series(1, 64)) AS g(i) WHERE embedding[i] <> 0 AND NOT isnan(embedding[i])
 UNION ALL SELECT 'conversations_by_terms', conv_id, unnest(regexp_extract_all(lower(text), '\\p{L}{3,}')) FROM conversations
 UNION ALL SELECT 'users_by_events', user_id, event_type || ':' || (props->>'$.k') FROM events WHERE (props->>'$.k') IS NOT NULL),
 u AS (SELECT DISTINCT carrier, obj, feat FROM t)
@@ -65,7 +64,7 @@ SELECT carrier, count(DISTINCT obj) AS n_obj, count(DISTINCT feat) AS n_feat, co
 round(100.0 * (1 - count(*)::DOUBLE / (count(DISTINCT obj)::DOUBLE * count(DISTINCT feat))), 6) AS sparsity FROM u GROUP BY carrier""")
 def dataset_profile_table(spark, sf_dir):
     """Objects, features, relations and sparsity of each carrier."""
-    names = ("parts_by_customers", "suppliers_by_customers", "parts_by_suppliers", "documents_by_terms", "conversations_by_terms", "users_by_events")
+    names = ("parts_by_customers", "suppliers_by_customers", "parts_by_suppliers", "documents_by_terms", "pages_by_terms", "embeddings_by_dims", "conversations_by_terms", "users_by_events")
     return reduce(DataFrame.union, [dataset_profile(carriers.CARRIERS[n](spark, sf_dir)) for n in names])
 
 
@@ -101,15 +100,66 @@ def vector_features(spark, sf_dir):
     return carriers.embeddings_by_dims(spark, sf_dir).rel.groupBy("feat").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("val"), 4).alias("total"))
 
 
+@query("SELECT count(DISTINCT l_partkey) AS n_obj, count(DISTINCT o_custkey) AS n_feat, true AS near FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+def approximate_profile(spark, sf_dir):
+    """Sketched counts for relations too large to count exactly: within a tenth of the exact ones."""
+    ds = _kept(spark, sf_dir)
+    exact = ds.rel.agg(F.count_distinct("obj").alias("n_obj"), F.count_distinct("feat").alias("n_feat"))
+    about = ds.rel.agg(F.approx_count_distinct("obj", 0.02).alias("ao"), F.approx_count_distinct("feat", 0.02).alias("af"))
+    off = lambda x, y: F.abs(F.col(x) - F.col(y)) <= F.col(y) / 10
+    return exact.join(F.broadcast(about)).select("n_obj", "n_feat", (off("ao", "n_obj") & off("af", "n_feat")).alias("near"))
+
+
 @query()
 def null_model_profile(spark, sf_dir):
-    return dataset_profile(random_intersection(spark, 400, 200, 0.05))
+    """A random intersection graph of the size and density of parts by customers, beside that relation."""
+    ds = _kept(spark, sf_dir)
+    real = dataset_profile(ds)
+    r = real.first()
+    null = random_intersection(spark, r.n_obj, r.n_feat, r.n_rel / (r.n_obj * r.n_feat))
+    return real.union(dataset_profile(null))
 
 
 @query()
 def pair_sample(spark, sf_dir):
-    ds = _pbc(spark, sf_dir)
-    return sample_pairs(ds, N_PAIRS, avoid=distance.hammock_pairs(ds, theta=0.9))
+    """A quarter as many pairs as objects, none of them linked."""
+    ds = _kept(spark, sf_dir)
+    return sample_pairs(ds, max(50, ds.objects().count() // 4), avoid=distance.hammock_pairs(ds, theta=0.9))
+
+
+TERMS = "regexp_extract_all(lower(coalesce(text, '')), '\\p{L}{3,}')"
+
+
+@query(f"SELECT doc_id AS obj, term, count(*)::DOUBLE AS val FROM (SELECT doc_id, unnest({TERMS}) AS term FROM documents) GROUP BY 1, 2")
+def doc_terms(spark, sf_dir):
+    return text.tf(table(spark, sf_dir, "documents"), "doc_id", text.tokenize(F.col("text")))
+
+
+@query("""SELECT page_id AS obj, term, count(*)::DOUBLE AS val FROM (SELECT page_id, unnest(regexp_extract_all(lower(regexp_replace(regexp_replace(coalesce(html, ''),
+'(?is)<(script|style)\\b.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g')), '\\p{L}{3,}')) AS term FROM pages) GROUP BY 1, 2""")
+def page_terms(spark, sf_dir):
+    return text.tf(table(spark, sf_dir, "pages"), "page_id", text.tokenize(text.strip_html(F.col("html"))))
+
+
+@query(f"""WITH t AS (SELECT doc_id AS obj, term, count(*)::DOUBLE AS tf FROM (SELECT doc_id, unnest({TERMS}) AS term FROM documents) GROUP BY 1, 2),
+n AS (SELECT count(DISTINCT obj)::DOUBLE AS n FROM t), df AS (SELECT term, count(*) AS df FROM t GROUP BY term)
+SELECT obj, term, round(tf * ln(n / df), 6) AS val FROM t JOIN df USING (term), n""")
+def doc_tfidf(spark, sf_dir):
+    tf = written(text.tf(table(spark, sf_dir, "documents"), "doc_id", text.tokenize(F.col("text"))), "terms")
+    return text.tf_idf(tf, tf.agg(F.count_distinct("obj")).first()[0]).withColumn("val", F.round("val", 6))
+
+
+@query(f"""WITH t AS (SELECT DISTINCT doc_id AS obj, unnest({TERMS}) AS term FROM documents), df AS (SELECT term, count(*) AS df FROM t GROUP BY term)
+SELECT term, df, row_number() OVER (ORDER BY df DESC, term) AS place FROM df ORDER BY df DESC, term LIMIT 50""")
+def common_terms(spark, sf_dir):
+    """The 50 terms in most documents: candidates for a list of stop words."""
+    return text.most_common(text.tf(table(spark, sf_dir, "documents"), "doc_id", text.tokenize(F.col("text"))), 50)
+
+
+@query()
+def abstract_stems(spark, sf_dir):
+    """Documents as the text workloads read them: without stop words, numerals and letter sequences, and stemmed."""
+    return carriers.clean_terms(spark, sf_dir)
 
 
 # ---------------------------------------------------------------- distances and hammocks
@@ -165,13 +215,35 @@ def triangles(spark, sf_dir):
     return distance.triangles(written(distance.hammock_pairs(_pbc(spark, sf_dir), theta=0.93), "edges")).select("a", "b", "c")
 
 
-@query(PAIRS + f", e AS (SELECT a, b FROM d WHERE dist <= {THETA} + 1e-12) SELECT (SELECT count(*) FROM e x JOIN e y ON x.b = y.a JOIN e z ON z.a = x.a AND z.b = y.b) AS n, true AS all_ok")
+@query(PAIRS + """, e AS (SELECT a, b FROM d WHERE dist <= 0.95 + 1e-12), t AS (SELECT x.a AS o, x.b, y.b AS c FROM e x JOIN e y ON x.a = y.a AND x.b < y.b)
+SELECT o, t.b, t.c, round(greatest(p.dist, q.dist, coalesce(r.dist, 1.0)), 9) AS worst, coalesce(r.dist, 1.0) <= 0.95 + 1e-12 AS ok FROM t JOIN d p ON p.a = o AND p.b = t.b JOIN d q ON q.a = o AND q.b = t.c LEFT JOIN d r ON r.a = t.b AND r.b = t.c""")
 def clique_checks(spark, sf_dir):
-    """The clique test on every triangle of the network."""
-    ds = _pbc(spark, sf_dir).kept()
-    t = distance.triangles(written(distance.hammock_pairs(ds, theta=THETA), "edges"))
-    sets = written(t.select(F.struct("a", "b", "c").alias("id"), F.array("a", "b", "c").alias("members")), "sets")
-    return distance.clique_check(ds, sets, theta=THETA).agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.bool_and("ok"), F.lit(True)).alias("all_ok"))
+    """The clique test on every object with two linked ones after it; most are no cliques."""
+    ds = _kept(spark, sf_dir)
+    e = written(distance.hammock_pairs(ds, theta=0.95).select("a", "b"), "edges")
+    t = e.toDF("o", "b").join(e.toDF("o", "c"), "o").where("b < c")
+    sets = written(t.select(F.struct("o", "b", "c").alias("id"), F.array("o", "b", "c").alias("members")), "sets")
+    return distance.clique_check(ds, sets, theta=0.95).select("id.o", "id.b", "id.c", r9("worst").alias("worst"), "ok")
+
+
+@query(PAIRS + " SELECT width, count(*) FILTER (dist <= 0.95 + 1e-12) AS near, count(*) FILTER (dist > 0.95 + 1e-12) AS far FROM d WHERE width >= 2 GROUP BY width")
+def width_pivot(spark, sf_dir):
+    """Pairs by common features, linked and not, side by side."""
+    p = distance.hammock_pairs(_kept(spark, sf_dir), width=2)
+    p = p.withColumn("side", F.when(distance.passes(0.95, None), "near").otherwise("far"))
+    return p.groupBy("width").pivot("side", ["near", "far"]).count().na.fill(0, ["near", "far"])
+
+
+NATIONS = "SELECT c_nationkey::BIGINT AS obj, l_suppkey AS feat, sum(l_quantity) AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON c_custkey = o_custkey GROUP BY 1, 2"
+
+
+@query(twins.base(NATIONS) + twins.PAIR_STEPS + " SELECT a, b, round(dist, 9) AS dist FROM d")
+def audit_pairs(spark, sf_dir):
+    """Every pair of nations by their suppliers, by nested loops over profiles: a relation of 25 objects at any size of the data."""
+    j = carriers._orders_lines(spark, sf_dir).join(table(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey"))
+    p = written(AssocDataset.from_weights(j, "c_nationkey", "l_suppkey", "l_quantity").profiles().select("obj", "feats", "vals"), "profiles")
+    pairs = p.toDF("a", "fa", "va").join(F.broadcast(p.toDF("b", "fb", "vb")), F.col("a") < F.col("b"))
+    return pairs.where(F.arrays_overlap("fa", "fb")).select("a", "b", r9(C.soergel("fa", "va", "fb", "vb")).alias("dist"))
 
 
 # ---------------------------------------------------------------- truncation
@@ -196,7 +268,7 @@ def truncated_stats(spark, sf_dir):
 
 
 def _audit_set(spark, sf_dir):
-    ds = _pbc(spark, sf_dir).kept()
+    ds = _kept(spark, sf_dir)
     return ds, cut.truncate(ds, 40), written(distance.hammock_pairs(ds, width=3).select("a", "b"), "pairs")
 
 
@@ -218,7 +290,10 @@ def admissible_audit(spark, sf_dir):
     return measures.audit_admissible(td, ds, p).withColumn("worst", r9("worst"))
 
 
-@query()
+@query(MIXED + """, kt AS (SELECT obj, sum(val) AS kt FROM k GROUP BY obj), cs AS (SELECT a, b, sum(x.val) AS ca, sum(y.val) AS cb FROM p JOIN k x ON x.obj = a JOIN k y ON y.obj = b AND y.feat = x.feat GROUP BY 1, 2),
+z AS (SELECT m.a, m.b, m.dist, coalesce(f.kt, 0) - coalesce(ca, 0) + coalesce(g.kt, 0) - coalesce(cb, 0) AS lone, m.df, m.top, least(s.n_out, t.n_out) * m.mx AS dropped FROM m JOIN ts s ON s.obj = m.a JOIN ts t ON t.obj = m.b
+  LEFT JOIN kt f ON f.obj = m.a LEFT JOIN kt g ON g.obj = m.b LEFT JOIN cs ON cs.a = m.a AND cs.b = m.b)
+SELECT count(*) AS n_pairs, round(max(CASE WHEN lone + top + dropped <= 0 THEN 0 ELSE (lone + df) / (lone + top + dropped) END - dist), 9) AS worst FROM z""")
 def admissible_tight(spark, sf_dir):
     """Tighter bounds: real weights of kept features, and the least count of dropped ones."""
     ds, td, p = _audit_set(spark, sf_dir)
@@ -228,16 +303,18 @@ def admissible_tight(spark, sf_dir):
 
 # ---------------------------------------------------------------- lattice
 
-@query()
-def concepts(spark, sf_dir):
-    lat = _lattice(spark, sf_dir)[1]
-    return lat.concepts.select(F.array_join(F.col("intent").cast("array<string>"), ",").alias("intent"), "n_feat", "support")
+LATTICE = twins.REL_PBS + twins.lattice(MINSHARE)
+
+
+def _lattice(spark, sf_dir, carrier: str = "parts_by_suppliers", minsup=None):
+    """A carrier's relation and its lattice, built once in an application."""
+    ds = _kept(spark, sf_dir, carrier)
+    made = built(spark, (sf_dir, carrier, "lattice", minsup), lambda: lattice.build_concepts(ds, _support(ds) if minsup is None else minsup), lambda lat: [lat.concepts, lat.extents])
+    return ds, made
 
 
-def _lattice(spark, sf_dir, least=None):
-    """Parts by suppliers."""
-    ds = carriers.parts_by_suppliers(spark, sf_dir).kept()
-    return ds, lattice.build_concepts(ds, _support(ds) if least is None else least)
+def _covers(spark, sf_dir, lat, *key):
+    return built(spark, (sf_dir, "covers", *key), lambda: written(lattice.build_edges(lat), "covers"), lambda e: [e])
 
 
 def _support(ds):
@@ -245,100 +322,196 @@ def _support(ds):
     return min(ds.support(MINSHARE), lattice.pair_support(ds))
 
 
-@query()
+def _micro(spark):
+    """A relation of 40 objects and 12 features by arithmetic, for lattices without pruning."""
+    cells = spark.range(40).select(F.col("id").alias("obj")).join(F.broadcast(spark.range(12).select(F.col("id").alias("feat"))))
+    return AssocDataset(cells.where((F.col("obj") * F.col("obj") + 3 * F.col("obj") * F.col("feat") + 7 * F.col("feat")) % 5 < 2).withColumn("val", F.lit(1.0)), "micro").kept()
+
+
+def _intents(df, lat):
+    return df.join(lat.concepts.select("cid", F.array_join(F.col("intent").cast("array<string>"), ",").alias("intent")), "cid")
+
+
+@query(LATTICE + " SELECT array_to_string(intent, ',') AS intent, n_feat, support FROM concepts")
+def concepts(spark, sf_dir):
+    lat = _lattice(spark, sf_dir)[1]
+    return lat.concepts.select(F.array_join(F.col("intent").cast("array<string>"), ",").alias("intent"), "n_feat", "support")
+
+
+@query(f"""WITH rel AS MATERIALIZED ({twins.MICRO}), have AS MATERIALIZED (SELECT obj, list(feat ORDER BY feat) AS fs FROM rel GROUP BY obj),
+hit AS (SELECT m, obj, fs FROM range(1, 4096) AS r(m), have WHERE list_sum([1::BIGINT << f FOR f IN fs]) & m = m),
+closed AS (SELECT m, count(*) AS n, bit_and(list_sum([1::BIGINT << f FOR f IN fs])::BIGINT) AS shared FROM hit GROUP BY m HAVING count(*) >= 4)
+SELECT array_to_string([f FOR f IN range(0, 12) IF (m >> f) & 1 = 1], ',') AS intent, n AS support FROM closed WHERE shared = m""")
+def concepts_by_clique_size(spark, sf_dir):
+    """Support equal to the clique size, over every subset of twelve features."""
+    lat = lattice.build_concepts(_micro(spark), "clique", clique=4)
+    return lat.concepts.select(F.array_join(F.col("intent").cast("array<string>"), ",").alias("intent"), "support")
+
+
+@query(LATTICE + twins.COVERS + " SELECT (SELECT count(*) FROM concepts) AS n_concepts, (SELECT count(*) FROM concepts WHERE cid NOT IN (SELECT cid FROM cov)) AS n_minimal, (SELECT count(*) FROM concepts WHERE cid NOT IN (SELECT child_cid FROM cov)) AS n_maximal")
 def lattice_size(spark, sf_dir):
-    return lattice.lattice_stats(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    return lattice.lattice_stats(lat, _covers(spark, sf_dir, lat))
 
 
-@query()
+@query(LATTICE + twins.COVERS + " SELECT array_to_string(p.intent, ',') AS parent, array_to_string(c.intent, ',') AS child FROM cov JOIN concepts p ON p.cid = cov.cid JOIN concepts c ON c.cid = cov.child_cid")
 def lattice_covers(spark, sf_dir):
-    return lattice.build_edges(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    e = _covers(spark, sf_dir, lat)
+    return _intents(_intents(e, lat).select(F.col("intent").alias("parent"), F.col("child_cid").alias("cid")), lat).select("parent", F.col("intent").alias("child"))
 
 
-@query()
+@query(LATTICE + twins.RANKED + " SELECT array_to_string(intent, ',') AS intent, obj, n_obj_feat, rnk FROM ranked JOIN concepts USING (cid)")
 def extent_order(spark, sf_dir):
-    return lattice.rank_extents(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    return _intents(lattice.rank_extents(lat), lat).select("intent", "obj", "n_obj_feat", "rnk")
 
 
-@query()
+@query(LATTICE + twins.BEATEN + " SELECT e.obj, array_to_string(c.intent, ',') AS intent, c.n_feat FROM ext e JOIN concepts c USING (cid) WHERE NOT EXISTS (SELECT 1 FROM beaten b WHERE b.obj = e.obj AND b.cid = e.cid)")
 def upper_edge(spark, sf_dir):
-    return lattice.top_edge(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    return _intents(lattice.top_edge(lat, _covers(spark, sf_dir, lat)), lat).select("obj", "intent", "n_feat")
 
 
-@query()
+@query(LATTICE + twins.BEATEN + " SELECT e.obj, array_to_string(c.intent, ',') AS intent, b.obj IS NULL AS holds FROM ext e JOIN concepts c USING (cid) LEFT JOIN beaten b ON b.obj = e.obj AND b.cid = e.cid")
 def tau_predicate(spark, sf_dir):
-    return lattice.tau(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    return _intents(lattice.tau(lat, _covers(spark, sf_dir, lat)), lat).select("obj", "intent", "holds")
 
 
-@query()
+@query(f"WITH rel AS ({twins.MICRO}) SELECT obj, string_agg(feat::VARCHAR, ',' ORDER BY feat) AS intent FROM rel GROUP BY obj")
+def top_edge_micro(spark, sf_dir):
+    """Without pruning an object's upper edge is the one concept of all its features."""
+    lat = lattice.build_concepts(_micro(spark), 1)
+    return _intents(lattice.top_edge(lat), lat).select("obj", "intent")
+
+
+@query(LATTICE + twins.LONGEST + " SELECT l.obj, array_to_string(c.intent, ',') AS intent, l.n_feat FROM longest l JOIN concepts c USING (cid)")
 def longest_concepts(spark, sf_dir):
-    return lattice.longest_concept(_lattice(spark, sf_dir)[1])
+    lat = _lattice(spark, sf_dir)[1]
+    return _intents(lattice.longest_concept(lat), lat).select("obj", "intent", "n_feat")
 
 
 # ---------------------------------------------------------------- successors
 
-KNN = PAIRS + """, w AS (SELECT a, b, dist FROM d UNION ALL SELECT b, a, dist FROM d), r AS (SELECT *, row_number() OVER (PARTITION BY a ORDER BY dist, b) AS rnk FROM w)
-SELECT a AS obj, b AS nbr, round(dist, 9) AS dist, rnk FROM r WHERE rnk <= 5"""
+def knn_sql(pairs: str, b: int, where: str = "true") -> str:
+    return pairs + twins.BOTH_STEPS + f""", r AS (SELECT *, row_number() OVER (PARTITION BY a ORDER BY round(dist, 12), b) AS rnk FROM d2)
+SELECT a AS obj, b AS nbr, round(dist, 9) AS dist, rnk FROM r WHERE rnk <= {b} AND {where}"""
 
 
-@query(KNN)
+@query(knn_sql(PAIRS, 5))
 def knn_topb(spark, sf_dir):
-    ds = _pbc(spark, sf_dir).kept()
-    return successors.exact_knn(ds, ds.rel.select("obj").distinct(), 5).withColumn("dist", r9("dist"))
+    return successors.exact_knn(_kept(spark, sf_dir), None, 5).withColumn("dist", r9("dist"))
+
+
+VECTORS = "SELECT vec_id AS obj, 2 * (i - 1) + (embedding[i] < 0)::INT AS feat, abs(embedding[i]::DOUBLE) AS val FROM embeddings, unnest(generate_series(1, 64)) AS g(i) WHERE embedding[i] <> 0 AND NOT isnan(embedding[i])"
+
+
+@query(twins.base(VECTORS) + twins.PAIR_STEPS + twins.BOTH_STEPS + """, r AS (SELECT *, row_number() OVER (PARTITION BY a ORDER BY round(dist, 12), b) AS rnk FROM d2)
+SELECT a AS obj, b AS nbr, round(dist, 6) AS dist, rnk, coalesce(p.label = q.label, false) AS same_label FROM r JOIN embeddings p ON p.vec_id = a JOIN embeddings q ON q.vec_id = b WHERE rnk <= 5""")
+def embedding_knn(spark, sf_dir):
+    """The vector space: nearest vectors by the weighted distance, and whether their labels agree."""
+    lab = table(spark, sf_dir, "embeddings").select("vec_id", "label")
+    n = successors.exact_knn(_kept(spark, sf_dir, "embeddings_by_dims"), None, 5)
+    j = n.join(lab.toDF("obj", "l1"), "obj").join(lab.toDF("nbr", "l2"), "nbr")
+    return j.select("obj", "nbr", F.round("dist", 6).alias("dist"), "rnk", F.coalesce(F.col("l1") == F.col("l2"), F.lit(False)).alias("same_label"))
 
 
 def _frontier(ds):
     """The query set of the generators: every object with an id divisible by 100."""
-    return written(ds.rel.where("obj % 100 = 0").select("obj").distinct(), "frontier")
+    return written(ds.objects().where("obj % 100 = 0"), "frontier")
 
 
-@query()
+def _index(spark, sf_dir):
+    ds = _kept(spark, sf_dir)
+    return ds, built(spark, (sf_dir, "cover tree"), lambda: successors.CoverTreeIndex.build(ds, levels=2), lambda i: [i.net])
+
+
+@query(knn_sql(PAIRS, 5, f"a % 100 = 0 AND dist <= {THETA} + 1e-12"))
 def cover_tree_neighbours(spark, sf_dir):
-    ds = _pbc(spark, sf_dir).kept()
-    return successors.CoverTreeIndex.build(ds, levels=2).knn(_frontier(ds), 5, THETA).withColumn("dist", r9("dist"))
+    ds, index = _index(spark, sf_dir)
+    return index.knn(_frontier(ds), 5, THETA).withColumn("dist", r9("dist"))
 
 
-@query()
+@query("SELECT i::INT AS level, 0::BIGINT AS not_nested, 0::BIGINT AS not_covered, 0::BIGINT AS too_close FROM generate_series(0, 1) AS g(i)")
 def cover_tree_check(spark, sf_dir):
-    return successors.CoverTreeIndex.build(_pbc(spark, sf_dir).kept(), levels=2).check()
+    return _index(spark, sf_dir)[1].check()
 
 
 @query()
 def lattice_neighbours(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna(lat, ds, _frontier(ds), 5).withColumn("jaccard", r9("jaccard"))
+    return successors.nna(lat, ds, _frontier(ds), 5, edges=_covers(spark, sf_dir, lat)).withColumn("jaccard", r9("jaccard"))
+
+
+@query(f"""WITH rel AS ({twins.MICRO}), {twins.STATS}, j AS (SELECT x.obj, y.obj AS nbr, count(*) AS c FROM rel x JOIN rel y ON x.feat = y.feat AND x.obj <> y.obj GROUP BY 1, 2)
+SELECT j.obj, nbr, round(c::DOUBLE / (p.n_feat + q.n_feat - c), 9) AS jaccard, row_number() OVER (PARTITION BY j.obj ORDER BY c::DOUBLE / (p.n_feat + q.n_feat - c) DESC, nbr) AS rnk
+FROM j JOIN st p ON p.obj = j.obj JOIN st q ON q.obj = nbr QUALIFY rnk <= 5""")
+def nna_topb(spark, sf_dir):
+    """Over a lattice without pruning the walk gives the true neighbours in order."""
+    ds = _micro(spark)
+    lat = lattice.build_concepts(ds, 1)
+    return successors.nna(lat, ds, ds.objects(), 5).withColumn("jaccard", r9("jaccard"))
 
 
 @query()
 def kth_lattice_neighbour(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna_kth(lat, ds, _frontier(ds), 3).withColumn("jaccard", r9("jaccard"))
+    return successors.nna_kth(lat, ds, _frontier(ds), 3, edges=_covers(spark, sf_dir, lat)).withColumn("jaccard", r9("jaccard"))
 
 
 @query()
 def lattice_cliques(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.nna_cliques(lat, ds, _frontier(ds), 3, 20).withColumn("score", r9("score"))
+    return successors.nna_cliques(lat, ds, _frontier(ds), 3, CAP, edges=_covers(spark, sf_dir, lat)).withColumn("score", r9("score"))
 
 
-@query()
+CLIQUE_SIZES = (2, 4, 6, 7, 9, 12, 14, 15, 18)
+
+
+@query(f"""WITH t AS (SELECT k, m, round(exp(lgamma(m + 1) - lgamma(k + 1) - lgamma(m - k + 1)))::BIGINT AS combos FROM unnest([{', '.join(map(str, CLIQUE_SIZES))}]) AS a(k), generate_series(1, 60) AS b(m) WHERE m >= k)
+SELECT k::INT AS k, {CAP} AS b, min(m)::INT AS m, min_by(combos, m) AS combos FROM t WHERE combos >= {CAP} GROUP BY k""")
+def kcnn_m(spark, sf_dir):
+    """Candidates needed so that at least b combinations of k exist."""
+    from math import comb
+
+    ms = [(k, CAP, successors.min_candidates(k, CAP)) for k in CLIQUE_SIZES]
+    return spark.createDataFrame([(k, b, m, comb(m, k)) for k, b, m in ms], "k int, b int, m int, combos long")
+
+
+NEAR_CLIQUES = twins.REL_PBS + twins.PAIR_STEPS + twins.BOTH_STEPS + twins.lattice(MINSHARE) + twins.LONGEST + twins.RANKED
+
+
+def _clique_text(df):
+    return df.select("obj", F.array_join(F.col("members").cast("array<string>"), ",").alias("members"), r9("score").alias("score"))
+
+
+@query(NEAR_CLIQUES + twins.near_cliques(3, successors.min_candidates(3, CAP), CAP, DENSE_THETA) + " SELECT obj, array_to_string(list_sort([n1, n2, n3]), ',') AS members, round(score, 9) AS score FROM good")
 def near_cliques(spark, sf_dir):
+    """Verified sets of three near neighbours of every object."""
     ds, lat = _lattice(spark, sf_dir)
-    return successors.verify_cliques(ds, successors.kcnn(lat, ds, _frontier(ds), 3, 20), theta=THETA).withColumn("score", r9("score"))
+    return _clique_text(successors.verify_cliques(ds, successors.kcnn(lat, ds, ds.objects(), 3, CAP), theta=DENSE_THETA))
 
 
-@query()
+@query(NEAR_CLIQUES + twins.near_cliques(2, successors.min_candidates(2, CAP), CAP, DENSE_THETA) + " SELECT obj, array_to_string(list_sort([n1, n2]), ',') AS members, round(score, 9) AS score FROM tries")
+def near_clique_candidates(spark, sf_dir):
+    """Sets of two near neighbours of every object before the check; more than the cap exist, so the best mean distances are kept."""
+    ds, lat = _lattice(spark, sf_dir)
+    return _clique_text(successors.kcnn(lat, ds, ds.objects(), 2, CAP))
+
+
+@query(NEAR_CLIQUES + twins.near_cliques(3, successors.min_candidates(3, CAP), CAP, DENSE_THETA) + " SELECT (SELECT count(*) FROM tries) AS n_candidates, (SELECT count(*) FROM good) AS n_cliques, round((SELECT count(*) FROM good)::DOUBLE / (SELECT count(*) FROM tries), 6) AS share")
 def near_clique_yield(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
-    return successors.clique_yield(ds, successors.kcnn(lat, ds, _frontier(ds), 3, 20), theta=THETA)
+    return successors.clique_yield(ds, successors.kcnn(lat, ds, ds.objects(), 3, CAP), theta=DENSE_THETA)
 
 
 @query()
 def generator_diff(spark, sf_dir):
-    """Objects met by lattice-guided and exact neighbours, side by side, with recall."""
+    """Objects met by lattice-guided and exact neighbours, side by side."""
     ds, lat = _lattice(spark, sf_dir)
     f = _frontier(ds)
-    a = successors.nna(lat, ds, f, 5).select("obj", "nbr", F.col("rnk").alias("by_lattice"))
+    a = successors.nna(lat, ds, f, 5, edges=_covers(spark, sf_dir, lat)).select("obj", "nbr", F.col("rnk").alias("by_lattice"))
     b = successors.exact_knn(ds.binary(), f, 5, weighted=False).select("obj", "nbr", F.col("rnk").alias("exact"))
     return a.join(b, ["obj", "nbr"], "full_outer")
 
@@ -347,7 +520,7 @@ def generator_diff(spark, sf_dir):
 def neighbour_recall(spark, sf_dir):
     ds, lat = _lattice(spark, sf_dir)
     f = _frontier(ds)
-    got = written(successors.nna(lat, ds, f, 5), "got")
+    got = written(successors.nna(lat, ds, f, 5, edges=_covers(spark, sf_dir, lat)), "got")
     rec = measures.recall_at_b(got, successors.exact_knn(ds.binary(), f, 5, weighted=False))
     return rec.join(measures.order_inversions(got), "obj", "left")
 
@@ -359,106 +532,153 @@ def whole_network(spark, sf_dir):
     return network.materialize_network(_pbc(spark, sf_dir), theta=THETA).agg(F.count(F.lit(1)).alias("n_edges"), F.count_distinct("a").alias("n_left"))
 
 
-BOTH = PAIRS + ", e AS (SELECT a, b, dist FROM d WHERE dist <= 0.93 + 1e-12), e2 AS (SELECT a, b, dist FROM e UNION ALL SELECT b, a, dist FROM e), s AS (SELECT DISTINCT a AS src FROM e2 ORDER BY 1 LIMIT 5)"
+def _edges(spark, sf_dir):
+    ds = _kept(spark, sf_dir)
+    e = written(network.materialize_network(ds, theta=THETA), "edges")
+    return e, ds.objects().where("obj % 100 = 0").select(F.col("obj").alias("src"))
 
 
-def _edges(spark, sf_dir):
-    e = written(network.materialize_network(_pbc(spark, sf_dir), theta=0.93), "edges")
-    return e, network.both_ways(e).select(F.col("a").alias("src")).distinct().orderBy("src").limit(5)
+#: Relaxations that the twins write out; the engine's rounds end when nothing improves.
+RELAXED = 24
+
+
+def relaxed(step: str) -> str:
+    out = PAIRS + f", e2 AS MATERIALIZED (SELECT a, b, dist FROM d WHERE dist <= {THETA} + 1e-12 UNION ALL SELECT b, a, dist FROM d WHERE dist <= {THETA} + 1e-12), w0 AS MATERIALIZED (SELECT obj AS src, obj AS node, 0.0::DOUBLE AS cost FROM st WHERE obj % 100 = 0)"
+    for i in range(1, RELAXED + 1):
+        out += f", w{i} AS MATERIALIZED (SELECT src, node, min(cost) AS cost FROM (SELECT src, node, cost FROM w{i - 1} UNION ALL SELECT src, b, cost + {step} FROM w{i - 1} JOIN e2 ON a = node) GROUP BY 1, 2)"
+    return out
 
 
-@query(BOTH.replace("WITH", "WITH RECURSIVE", 1) + ", h AS (SELECT src, src AS node, 0 AS hops FROM s UNION SELECT h.src, e2.b, hops + 1 FROM h JOIN e2 ON e2.a = node WHERE hops < 4) SELECT src, node, min(hops) AS hops FROM h GROUP BY 1, 2")
+@query(relaxed("1") + f" SELECT src, node, cost::INT AS hops FROM w{RELAXED}")
 def bfs_hops(spark, sf_dir):
-    e, s = _edges(spark, sf_dir)
-    return network.bfs_hops(e, s, 4)
+    return network.bfs_hops(*_edges(spark, sf_dir))
 
 
-@query(BOTH + """, h1 AS (SELECT src, b AS node, min(dist) AS cost FROM s JOIN e2 ON a = src GROUP BY 1, 2), b1 AS (SELECT src, src AS node, 0.0::DOUBLE AS cost FROM s UNION ALL SELECT * FROM h1),
-b2 AS (SELECT src, node, min(cost) AS cost FROM (SELECT * FROM b1 UNION ALL SELECT src, b, cost + dist FROM b1 JOIN e2 ON a = node) GROUP BY 1, 2),
-b3 AS (SELECT src, node, min(cost) AS cost FROM (SELECT * FROM b2 UNION ALL SELECT src, b, cost + dist FROM b2 JOIN e2 ON a = node) GROUP BY 1, 2)
-SELECT src, node, round(min(cost), 9) AS cost FROM b3 GROUP BY 1, 2""")
+@query(relaxed("dist") + f" SELECT src, node, round(cost, 6) AS cost FROM w{RELAXED}")
 def least_costs(spark, sf_dir):
-    e, s = _edges(spark, sf_dir)
-    return network.shortest_costs(e, s, 3).withColumn("cost", r9("cost"))
+    return network.shortest_costs(*_edges(spark, sf_dir)).withColumn("cost", F.round("cost", 6))
 
 
-@query()
+def labels_sql(widths: tuple[int, ...], rounds: int = 24) -> str:
+    out = PAIRS
+    for w in widths:
+        out += f", v{w} AS MATERIALIZED (SELECT a, b FROM d WHERE width >= {w} UNION ALL SELECT b, a FROM d WHERE width >= {w}), l{w}_0 AS (SELECT obj, obj AS label FROM st)"
+        for i in range(1, rounds + 1):
+            out += f", l{w}_{i} AS MATERIALIZED (SELECT obj, min(label) AS label FROM (SELECT obj, label FROM l{w}_{i - 1} UNION ALL SELECT v.a, l.label FROM v{w} v JOIN l{w}_{i - 1} l ON l.obj = v.b) GROUP BY obj)"
+    return out + " " + " UNION ALL ".join(f"SELECT {w} AS width, count(*) AS n_components, max(n) AS largest FROM (SELECT label, count(*) AS n FROM l{w}_{rounds} GROUP BY label)" for w in widths)
+
+
+@query(labels_sql((2, 3, 4)))
 def connectivity_widths(spark, sf_dir):
-    return network.connectivity_by_width(_pbc(spark, sf_dir).kept(), [2, 3, 4])
+    return network.connectivity_by_width(_kept(spark, sf_dir), [2, 3, 4])
 
 
 # ---------------------------------------------------------------- searches
 
+EXACT_PATHS = twins.exact_paths(THETA, CAP, TARGETS)
+CLIQUE_PATHS = twins.clique_paths(MINSHARE, DENSE_THETA, successors.min_candidates(2, CAP), CAP, TARGETS)
+
+
 def _search(spark, sf_dir, **spec):
-    ds = _pbc(spark, sf_dir).kept()
-    pairs = written(sample_pairs(ds, N_PAIRS, avoid=distance.hammock_pairs(ds, theta=THETA)), "pairs")
-    spec = {"theta": THETA, "max_rounds": ROUNDS, "b": 20, "successors": "exact"} | spec
-    s = SearchSpec(**spec)
-    lat = lattice.build_concepts(ds, MINSUP if "minsup" not in spec else spec.pop("minsup")) if s.successors in ("kcnn", "nna") else None
-    return ds, pairs, find_paths(ds, pairs, s, lat, minsup=40)
+    """Pairs and their paths over parts by customers; a search with the same settings is run once in an application."""
+    ds = _kept(spark, sf_dir)
+
+    def run():
+        s = SearchSpec(**({"theta": THETA, "b": CAP, "successors": "exact"} | spec))
+        index = _index(spark, sf_dir)[1] if s.successors == "cover" else None
+        pairs = _pairs(ds)
+        return pairs, find_paths(ds, pairs, s, index=index, minsup=min(40, max(2, ds.support(0.15))))
+
+    return ds, *built(spark, (sf_dir, "search", *sorted(spec.items())), run, list)
+
+
+def _lattice_search(spark, sf_dir, **spec):
+    """The same on parts by suppliers, where few features give a lattice of some hundreds of concepts."""
+    ds, lat = _lattice(spark, sf_dir)
+
+    def run():
+        s = SearchSpec(**({"b": CAP} | ({} if "width" in spec else {"theta": DENSE_THETA}) | spec))
+        pairs = _pairs(ds, DENSE_THETA)
+        return pairs, find_paths(ds, pairs, s, lat)
+
+    return ds, *built(spark, (sf_dir, "lattice search", *sorted(spec.items())), run, list)
+
+
+def _costs(paths):
+    return paths.select("pair_id", "src", "dst", "outcome", F.round("cost", 6).alias("cost"))
 
 
 def _shown(paths):
-    text = lambda c: F.array_join(F.col(c).cast("array<string>"), ">")
-    return paths.select("pair_id", "src", "dst", "outcome", "hops", r9("cost").alias("cost"), text("nodes").alias("nodes"), "nodes_explored", "rounds", r9("ebf").alias("ebf"))
+    flat = lambda c: F.array_join(F.col(c).cast("array<string>"), ">")
+    chain = F.array_join(F.transform("cliques", lambda q: F.array_join(q.cast("array<string>"), ",")), " | ")
+    return paths.select("pair_id", "src", "dst", "outcome", "hops", F.round("cost", 6).alias("cost"), flat("nodes").alias("nodes"), chain.alias("cliques"), "nodes_explored", r9("ebf").alias("ebf"))
 
 
-@query()
+@query(EXACT_PATHS + twins.SHOWN)
 def paths_exact(spark, sf_dir):
-    return _shown(_search(spark, sf_dir)[2])
+    return _costs(_search(spark, sf_dir)[2])
 
 
-@query()
+@query(EXACT_PATHS + twins.SHOWN)
 def paths_uninformed(spark, sf_dir):
-    """The same search with a zero bound."""
-    return _shown(_search(spark, sf_dir, heuristic="zero")[2])
+    """The same search with a zero bound: breadth-first by cost."""
+    return _costs(_search(spark, sf_dir, heuristic="zero")[2])
 
 
-@query()
+@query(EXACT_PATHS + twins.SHOWN)
 def paths_mixed(spark, sf_dir):
-    return _shown(_search(spark, sf_dir, mode="mixed")[2])
+    """The same with the lower bound from the truncated data."""
+    return _costs(_search(spark, sf_dir, mode="mixed")[2])
 
 
-@query()
+@query(EXACT_PATHS + twins.SHOWN)
 def paths_cover_tree(spark, sf_dir):
-    return _shown(_search(spark, sf_dir, successors="cover")[2])
+    return _costs(_search(spark, sf_dir, successors="cover")[2])
 
 
-def _lattice_search(spark, sf_dir, **spec):
-    """On parts by suppliers, where few features give a lattice of some hundreds of concepts."""
-    ds, lat = _lattice(spark, sf_dir)
-    theta = spec.pop("theta", 0.93)
-    pairs = written(sample_pairs(ds, N_PAIRS, avoid=distance.hammock_pairs(ds, theta=theta)), "pairs")
-    return ds, find_paths(ds, pairs, SearchSpec(theta=theta, max_rounds=ROUNDS, **spec), lat, minsup=MINSHARE)
+@query(CLIQUE_PATHS + twins.SHOWN)
+def paths_near_cliques(spark, sf_dir):
+    """The preferred generator, every hop inside a verified set."""
+    return _costs(_lattice_search(spark, sf_dir, successors="kcnn", k=2)[2])
 
 
 @query()
-def paths_near_cliques(spark, sf_dir):
-    return _shown(_lattice_search(spark, sf_dir, successors="kcnn", k=2)[1])
+def clique_chains(spark, sf_dir):
+    """The paths of that search with the cliques between their objects."""
+    return _shown(_lattice_search(spark, sf_dir, successors="kcnn", k=2)[2])
+
+
+@query(CLIQUE_PATHS + " SELECT pair_id, true AS hops_ok, true AS cliques_ok, round(cost, 6) AS cost FROM paths WHERE cost IS NOT NULL")
+def clique_path_validity(spark, sf_dir):
+    """Every hop is a link, lies in its clique, and every clique passes the pairwise test."""
+    ds, _, p = _lattice_search(spark, sf_dir, successors="kcnn", k=2)
+    found = p.where("outcome = 'found'")
+    a, b = distance.validate_paths(ds, found, theta=DENSE_THETA), distance.validate_clique_paths(ds, found, theta=DENSE_THETA)
+    return a.select("pair_id", F.col("ok").alias("hops_ok"), F.round("cost", 6).alias("cost")).join(b.select("pair_id", F.col("ok").alias("cliques_ok")), "pair_id", "left")
 
 
 @query()
 def paths_lattice_neighbours(spark, sf_dir):
-    return _shown(_lattice_search(spark, sf_dir, successors="nna", k=2)[1])
+    return _shown(_lattice_search(spark, sf_dir, successors="nna", k=2)[2])
 
 
 @query()
-def widths_and_cliques(spark, sf_dir):
-    """Width 1, width 5, and width 5 inside cliques: stricter links lengthen paths, cliques shorten them."""
-    rows = []
-    for w, k in ((1, 2), (5, 2), (5, 3)):
-        ds, lat = _lattice(spark, sf_dir)
-        pairs = written(sample_pairs(ds, 3), "pairs")
-        p = find_paths(ds, pairs, SearchSpec(width=w, k=k, successors="kcnn", max_rounds=4), lat)
-        rows.append(p.groupBy("outcome").agg(F.count(F.lit(1)).alias("n"), r9(F.avg("hops")).alias("hops")).select(F.lit(w).alias("width"), F.lit(k).alias("k"), "outcome", "n", "hops"))
-    return reduce(DataFrame.union, rows)
+def paths_by_customers(spark, sf_dir):
+    """The preferred generator over the sparse relation: chains with their cliques, and no path where links are too few."""
+    ds, lat = _lattice(spark, sf_dir, "parts_by_customers", 2 * MINSUP)
+    run = lambda: [find_paths(ds, _pairs(ds, 0.9, 25), SearchSpec(theta=0.9, b=CAP, k=2), lat)]
+    return _shown(built(spark, (sf_dir, "customers search"), run, list)[0])
+
+
+@query()
+def paths_by_sets(spark, sf_dir):
+    """Set-only links: a width in place of a distance, neighbours from the lattice walk."""
+    return _shown(_lattice_search(spark, sf_dir, successors="nna", k=2, width=5, arity="with_source")[2])
 
 
 @query()
 def heuristic_savings(spark, sf_dir):
-    a = _search(spark, sf_dir)[2]
-    z = _search(spark, sf_dir, heuristic="zero")[2]
-    return measures.pct_saved(z, a)
+    return measures.pct_saved(_search(spark, sf_dir, heuristic="zero")[2], _search(spark, sf_dir)[2])
 
 
 @query()
@@ -466,23 +686,31 @@ def search_summary(spark, sf_dir):
     return measures.summarize(_search(spark, sf_dir)[2])
 
 
-@query()
+@query(EXACT_PATHS + " SELECT CASE WHEN cost IS NULL THEN 'no_path' ELSE 'found' END AS outcome, count(*) AS n, round(count(*)::DOUBLE / (SELECT count(*) FROM paths), 6) AS share FROM paths GROUP BY 1")
 def search_outcomes(spark, sf_dir):
     return measures.outcome_rates(_search(spark, sf_dir)[2])
 
 
-@query()
+@query(EXACT_PATHS + " SELECT pair_id, true AS ok, round(cost, 6) AS cost FROM paths WHERE cost IS NOT NULL")
 def path_validity(spark, sf_dir):
-    ds, pairs, p = _search(spark, sf_dir)
-    return distance.validate_paths(ds, p.where("outcome = 'found'"), theta=THETA).withColumn("cost", r9("cost"))
+    ds, _, p = _search(spark, sf_dir)
+    return distance.validate_paths(ds, p.where("outcome = 'found'"), theta=THETA).withColumn("cost", F.round("cost", 6))
 
 
-@query()
+@query(twins.exact_paths(THETA, 100_000, TARGETS) + " SELECT pair_id, round(cost, 6) AS cost, round(cost, 6) AS best, 0.0::DOUBLE AS gap FROM paths WHERE cost IS NOT NULL")
 def path_cost_gap(spark, sf_dir):
-    """Costs against the least over the built network."""
+    """Costs without a branching cap against the least over the built network: no gap either way."""
     ds, pairs, p = _search(spark, sf_dir, b=100_000)
     best = network.dijkstra_rounds(network.materialize_network(ds, theta=THETA), pairs)
-    return measures.cost_gap(p, best).select("pair_id", r9("cost").alias("cost"), r9("best").alias("best"), r9(F.greatest("gap", F.lit(0.0))).alias("gap"))
+    return measures.cost_gap(p, best).select("pair_id", F.round("cost", 6).alias("cost"), F.round("best", 6).alias("best"), (F.round("gap", 6) + F.lit(0.0)).alias("gap"))
+
+
+@query()
+def capped_cost_gap(spark, sf_dir):
+    """What the branching cap costs."""
+    ds, pairs, p = _search(spark, sf_dir)
+    best = network.dijkstra_rounds(network.materialize_network(ds, theta=THETA), pairs)
+    return measures.cost_gap(p, best).select("pair_id", r9("cost").alias("cost"), r9("best").alias("best"), r9("gap").alias("gap"))
 
 
 @query()
@@ -491,21 +719,53 @@ def outcome_cube(spark, sf_dir):
     return p.cube("outcome", "hops").agg(F.count(F.lit(1)).alias("n"), r9(F.avg("nodes_explored")).alias("nodes_explored"))
 
 
+@query(PAIRS + f" SELECT (SELECT count(*) FROM d WHERE dist <= {THETA} + 1e-12) AS network_edges, true AS fewer")
+def full_network_contrast(spark, sf_dir):
+    """Links of the built network, and whether the searches explored fewer objects than pairs times objects."""
+    ds, pairs, p = _search(spark, sf_dir)
+    edges = network.materialize_network(ds, theta=THETA).agg(F.count(F.lit(1)).alias("network_edges"))
+    seen = p.agg((F.sum("nodes_explored") < F.count(F.lit(1)) * F.lit(ds.objects().count())).alias("fewer"))
+    return edges.join(F.broadcast(seen))
+
+
+GRID = [(n, d) for n in (1, 5, 30, 200, 5000) for d in (1, 2, 3, 7, 14) if n >= d]
+
+
+@query(f"""WITH RECURSIVE g(n, d, lo, hi, i) AS (SELECT n, d, 0.0::DOUBLE, greatest(n, 1)::DOUBLE, 0 FROM (VALUES {', '.join(map(str, GRID))}) AS t(n, d)
+UNION ALL SELECT n, d, CASE WHEN s < n THEN x ELSE lo END, CASE WHEN s < n THEN hi ELSE x END, i + 1 FROM (SELECT n, d, lo, hi, i, (lo + hi) / 2 AS x, list_sum([pow((lo + hi) / 2, e) FOR e IN range(1, d + 1)]) AS s FROM g WHERE i < 60))
+SELECT n, d, round((lo + hi) / 2, 6) AS ebf FROM g WHERE i = 60""")
+def ebf_grid(spark, sf_dir):
+    """Effective branching factors over a grid of explored nodes and depths."""
+    return spark.createDataFrame(GRID, "n int, d int").select("n", "d", F.round(C.ebf(F.col("n"), F.col("d")), 6).alias("ebf"))
+
+
 # ---------------------------------------------------------------- significance
 
+HOP_P = PAIRS + """, f AS (SELECT count(DISTINCT feat) AS f FROM rel), h AS (SELECT a, b, width AS x0, na, nb, f FROM d, f WHERE width >= 4),
+p AS (SELECT a, b, x0 AS overlap, least(1.0, sum(exp(lgamma(na + 1) + lgamma(nb + 1) + lgamma(f - na + 1) + lgamma(f - nb + 1) - lgamma(f + 1) - lgamma(x + 1) - lgamma(na - x + 1) - lgamma(nb - x + 1) - lgamma(f - na - nb + x + 1)))) AS p
+  FROM (SELECT *, unnest(generate_series(x0, least(na, nb))) AS x FROM h) WHERE f - na - nb + x >= 0 GROUP BY a, b, x0)"""
+
+
+@query(HOP_P + " SELECT a, b, overlap, round(p, 9) AS p FROM p")
+def hop_pvalues(spark, sf_dir):
+    ds = _kept(spark, sf_dir)
+    return measures.hop_pvalues(distance.hammock_pairs(ds, width=4), ds).withColumn("p", r9("p"))
+
+
 @query()
 def hop_significance(spark, sf_dir):
-    ds = _pbc(spark, sf_dir).kept()
-    p = measures.hop_pvalues(distance.hammock_pairs(ds, width=4), ds)
-    return measures.benjamini_hochberg(p).select("a", "b", "overlap", F.round("p", 9).alias("p"), F.round("q", 9).alias("q"))
+    """Chances of the overlaps, adjusted over all of them."""
+    ds = _kept(spark, sf_dir)
+    p = written(measures.hop_pvalues(distance.hammock_pairs(ds, width=4), ds), "p")
+    return measures.benjamini_hochberg(p).select("a", "b", "overlap", r9("p").alias("p"), r9("q").alias("q"))
 
 
 @query(PAIRS + """, t AS (SELECT a, b, 1.0 - sdist AS p FROM d WHERE width >= 4), m AS (SELECT *, count(*) OVER () AS m, rank() OVER (ORDER BY p) + count(*) OVER (PARTITION BY p) - 1 AS i FROM t)
 SELECT a, b, round(least(1.0, min(p * m / i) OVER (ORDER BY p DESC RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)), 9) AS q FROM m""")
 def bh_adjust(spark, sf_dir):
     """The adjustment alone, over values that SQL can compute too."""
-    ds = _pbc(spark, sf_dir)
-    d = distance.pair_distance(ds, distance.hammock_pairs(ds, width=4), weighted=False)
+    ds = _kept(spark, sf_dir)
+    d = written(distance.pair_distance(ds, distance.hammock_pairs(ds, width=4), weighted=False), "dist")
     return measures.benjamini_hochberg(d.select("a", "b", (1.0 - F.col("dist")).alias("p"))).select("a", "b", r9("q").alias("q"))
 
 
@@ -563,3 +823,6 @@ def labelled_hops(spark, sf_dir):
     names = table(spark, sf_dir, "part").select("p_partkey", "p_name")
     h = distance.hammock_pairs(_pbc(spark, sf_dir), width=4).select("a", "b", "width")
     return h.join(names.toDF("a", "a_name"), "a").join(names.toDF("b", "b_name"), "b").select("a", "b", "a_name", "b_name", "width")
+
+
+from . import workloads  # noqa: E402, F401  registers the experiments

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.text import strip_html, tf, tokenize
+from ..functions.text import drop_sequences, drop_stopwords, light_stem, stop_words, strip_html, tf, tokenize
 from ..operators.dataset import AssocDataset
 from ..tables import table
 
@@ -37,6 +37,24 @@ def documents_by_terms(spark: SparkSession, sf_dir: str) -> AssocDataset:
     return _terms(tf(table(spark, sf_dir, "documents"), "doc_id", tokenize(F.col("text"))), "documents_by_terms")
 
 
+def cleaned(words) -> Column:
+    """Terms without stop words and letter sequences, stemmed; numerals and signs are no terms to begin with."""
+    return F.filter(F.transform(drop_sequences(drop_stopwords(words, stop_words())), light_stem), lambda t: F.length(t) >= 3)
+
+
+def clean_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(obj, term, val) of the documents."""
+    return tf(table(spark, sf_dir, "documents"), "doc_id", cleaned(tokenize(F.col("text"))))
+
+
+def documents_by_stems(spark: SparkSession, sf_dir: str) -> AssocDataset:
+    return _terms(clean_terms(spark, sf_dir), "documents_by_stems")
+
+
+def pages_by_stems(spark: SparkSession, sf_dir: str) -> AssocDataset:
+    return _terms(tf(table(spark, sf_dir, "pages"), "page_id", cleaned(tokenize(strip_html(F.col("html"))))), "pages_by_stems")
+
+
 def pages_by_terms(spark: SparkSession, sf_dir: str) -> AssocDataset:
     return _terms(tf(table(spark, sf_dir, "pages"), "page_id", tokenize(strip_html(F.col("html")))), "pages_by_terms")
 
@@ -70,4 +88,4 @@ def sampled_parts(spark: SparkSession, sf_dir: str, n: int = 1000, seed: int = 4
     return AssocDataset(ds.rel.join(take, "obj", "left_semi").select("obj", "feat", "val"), "sampled_parts")
 
 
-CARRIERS = {f.__name__: f for f in (parts_by_customers, suppliers_by_customers, parts_by_suppliers, documents_by_terms, pages_by_terms, conversations_by_terms, embeddings_by_dims, users_by_events, sampled_parts)}
+CARRIERS = {f.__name__: f for f in (parts_by_customers, suppliers_by_customers, parts_by_suppliers, documents_by_terms, documents_by_stems, pages_by_terms, pages_by_stems, conversations_by_terms, embeddings_by_dims, users_by_events, sampled_parts)}

@@ -69,6 +69,15 @@ def drop(spark: SparkSession, path: str) -> None:
     fs.delete(p, True)
 
 
+def alive(df: DataFrame) -> bool:
+    """Whether the files that df reads are still there."""
+    for f in df.inputFiles()[:1]:
+        p, fs = _file_system(df.sparkSession, f)
+        if not fs.exists(p):
+            return False
+    return True
+
+
 def mark() -> int:
     """A place in the list of written tables; see ``drop_since``."""
     return len(_WRITTEN)
