@@ -15,11 +15,11 @@ import zlib
 import numpy as np
 
 # ---- fixed values of the file format
-MAGIC, VERSION = b"WPID", 1
+MAGIC, VERSION = b"WPID", 2
 HEAD = struct.Struct("<4sBxHIqqIII")  # magic, version, fragments, ids, part, first id's place in the part, words, crc of ids, crc of what follows
 FRAGMENT = struct.Struct("<qqIBI")  # document id, its number in the part, fragment number, 1 if its id is null, ids of it here
-BLOCK_IDS = 8192
-LOW_BITS, SLOTS1, SLOTS2 = 8, 4096, 8192
+BLOCK_IDS = 2048
+LOW_BITS, SLOTS1, SLOTS2 = 5, 4096, 8192
 # ----
 _U = np.uint64
 _MASK48, _FULL, _LEAST = _U((1 << 48) - 1), _U(1 << 48), _U(1 << 32)
@@ -44,8 +44,8 @@ class _Model:
 
     def __init__(self, lanes: int, top: int):
         self.n, self.rows = lanes, np.arange(lanes)
-        self.hi_n = (top >> LOW_BITS) + 1
-        self.lo_n = 1 << LOW_BITS
+        low = 1 << LOW_BITS
+        self.size = ((top >> 2 * LOW_BITS) + 1, low, low)
         self.seen1 = np.zeros(lanes * SLOTS1, np.uint16)
         self.seen2 = np.zeros(lanes * SLOTS2, np.uint16)
         self.sure1 = np.zeros(lanes * SLOTS1, np.uint8)
@@ -54,11 +54,11 @@ class _Model:
         self.p2 = np.full(lanes * 16, 1 << 14, np.int32)
         self.mix1 = np.full(lanes, 1 << 15, np.int32)
         self.mix2 = np.full(lanes, 1 << 15, np.int32)
-        # cumulative order-0 counts, one column more than there are values
-        start = np.maximum(1, 4096 // (np.arange(self.hi_n) + 12))
-        self.hi = np.tile(np.r_[0, np.cumsum(start)].astype(np.int32), (lanes, 1))
-        self.lo = np.tile(np.arange(self.lo_n + 1, dtype=np.uint16) * np.uint16(2), (lanes * self.hi_n, 1))
-        self.hi_at, self.lo_at = np.arange(self.hi_n + 1), np.arange(self.lo_n + 1)
+        # cumulative order-0 counts of the three parts, one column more than there are values; low ids start out likelier
+        first = np.r_[0, np.cumsum(np.maximum(1, 1024 // (np.arange(self.size[0]) + 3)))]
+        even = 2 * np.arange(low + 1)
+        self.counts = [np.tile(first.astype(np.uint16), (lanes, 1)), np.tile(even.astype(np.uint16), (lanes * self.size[0], 1)), np.tile(even.astype(np.uint16), (lanes * self.size[0] * low, 1))]
+        self.more = [(np.arange(n + 1) > np.arange(n)[:, None]).astype(np.uint16) * np.uint16(24) for n in self.size]
         self.prev1 = np.zeros(lanes, np.int64)
         self.prev2 = np.zeros(lanes, np.int64)
 
@@ -98,28 +98,26 @@ class _Model:
         self.prev2[:k] = self.prev1[:k]
         self.prev1[:k] = ids
 
-    def grow_hi(self, lanes, hi):
-        self.hi[lanes] += (self.hi_at > hi[:, None]).astype(np.int32) * np.int32(24)
-        big = lanes[self.hi[lanes, -1] > 60000]
-        if len(big):
-            self._halve(self.hi, big)
+    def parts(self, lanes: np.ndarray, ids: np.ndarray):
+        """(level, rows of its table, values) of the three parts of ids."""
+        a, b, c = ids >> 2 * LOW_BITS, (ids >> LOW_BITS) & (self.size[1] - 1), ids & (self.size[2] - 1)
+        one = lanes * self.size[0] + a
+        return (0, lanes, a), (1, one, b), (2, (one << LOW_BITS) + b, c)
 
-    def grow_lo(self, rows, lo):
-        self.lo[rows] += (self.lo_at > lo[:, None]).astype(np.uint16) * np.uint16(24)
-        big = rows[self.lo[rows, -1] > 60000]
-        if len(big):
-            self._halve(self.lo, big)
-
-    @staticmethod
-    def _halve(table, rows):
-        step = (np.diff(table[rows].astype(np.int64), axis=1) + 1) >> 1
-        table[rows] = np.c_[np.zeros(len(rows), np.int64), np.cumsum(step, 1)].astype(table.dtype)
+    def grow(self, level: int, rows: np.ndarray, own: np.ndarray, values: np.ndarray):
+        """Count the values; own are the rows as they were read."""
+        new = own + self.more[level][values]
+        if (new[:, -1] > 60000).any():
+            big = np.flatnonzero(new[:, -1] > 60000)
+            step = (np.diff(new[big].astype(np.int64), axis=1) + 1) >> 1
+            new[big] = np.c_[np.zeros(len(big), np.int64), np.cumsum(step, 1)]
+        self.counts[level][rows] = new
 
 
 class _Encoder:
     def __init__(self, lanes: int, steps: int):
         self.low, self.range = np.zeros(lanes, _U), np.full(lanes, _FULL)
-        self.out = np.zeros((lanes, 3 * steps + 6), np.int64)  # words may hold a carry until the end
+        self.out = np.zeros((lanes, 4 * steps + 6), np.int64)  # words may hold a carry until the end
         self.at = np.ones(lanes, np.int64)
 
     def put(self, lanes, start, size, total):
@@ -202,15 +200,12 @@ def encode_lanes(blocks: list[np.ndarray], top: int = 65535) -> list[bytes]:
         coder.put(model.rows[:k], np.where(yes, _U(0), pu), np.where(yes, pu, _U(_ONE) - pu), one[:k])
         miss = np.flatnonzero(~yes)
         if len(miss):
-            xs = x[miss]
-            hi, lo = xs >> LOW_BITS, xs & (model.lo_n - 1)
-            start = model.hi[miss, hi].astype(_U)
-            coder.put(miss, start, model.hi[miss, hi + 1].astype(_U) - start, model.hi[miss, -1].astype(_U))
-            rows = miss * model.hi_n + hi
-            start = model.lo[rows, lo].astype(_U)
-            coder.put(miss, start, model.lo[rows, lo + 1].astype(_U) - start, model.lo[rows, -1].astype(_U))
-            model.grow_hi(miss, hi)
-            model.grow_lo(rows, lo)
+            pick = np.arange(len(miss))
+            for level, rows, v in model.parts(miss, x[miss]):
+                own = model.counts[level][rows]
+                start = own[pick, v].astype(_U)
+                coder.put(miss, start, own[pick, v + 1].astype(_U) - start, own[:, -1].astype(_U))
+                model.grow(level, rows, own, v)
         model.learn(k, ctx, hit, x)
     out: list[bytes] = [b""] * len(blocks)
     for lane, words in enumerate(coder.end()):
@@ -238,20 +233,17 @@ def decode_lanes(payloads: list[bytes], sizes: list[int], top: int = 65535) -> l
         x = guess.copy()
         miss = np.flatnonzero(~yes)
         if len(miss):
-            at = coder.target(miss, model.hi[miss, -1].astype(_U)).astype(np.int64)
-            hi = (model.hi[miss, 1:] <= at[:, None]).sum(1)
-            start = model.hi[miss, hi].astype(_U)
-            coder.take(miss, start, model.hi[miss, hi + 1].astype(_U) - start)
-            rows = miss * model.hi_n + hi
-            own = model.lo[rows]
-            at = coder.target(miss, own[:, -1].astype(_U)).astype(np.uint16)
-            lo = (own[:, 1:] <= at[:, None]).sum(1)
-            pick = np.arange(len(miss))
-            start = own[pick, lo].astype(_U)
-            coder.take(miss, start, own[pick, lo + 1].astype(_U) - start)
-            x[miss] = (hi << LOW_BITS) | lo
-            model.grow_hi(miss, hi)
-            model.grow_lo(rows, lo)
+            pick, rows, whole = np.arange(len(miss)), miss, np.zeros(len(miss), np.int64)
+            for level in range(3):
+                own = model.counts[level][rows]
+                at = coder.target(miss, own[:, -1].astype(_U)).astype(np.uint16)
+                v = (own[:, 1:] <= at[:, None]).sum(1)
+                start = own[pick, v].astype(_U)
+                coder.take(miss, start, own[pick, v + 1].astype(_U) - start)
+                model.grow(level, rows, own, v)
+                whole = (whole << (LOW_BITS if level else 0)) | v
+                rows = rows * model.size[level] + v
+            x[miss] = whole
         ids[t, :k] = x
         model.learn(k, ctx, yes.astype(np.int32), x)
     out: list[np.ndarray] = [np.zeros(0, np.uint32)] * len(payloads)

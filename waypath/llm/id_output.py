@@ -17,8 +17,8 @@ from .id_coder import BLOCK_IDS, block_bytes, crc_joined, decode_lanes, encode_l
 from .packing import tokenised
 from .tokens import loaded
 
-#: Blocks coded side by side.
-LANES = 256
+#: Blocks coded side by side: a step costs its calls, so more lanes make an id cheaper; a lane takes some 150 KB of a worker.
+LANES = 1024
 
 
 def write_ids(docs: DataFrame, path: str, tokenizer: str | None = None, block_ids: int = BLOCK_IDS, lanes: int = LANES) -> None:
