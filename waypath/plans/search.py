@@ -32,7 +32,7 @@ from .spec import SearchSpec
 
 RESULT = ["pair_id", "src", "dst", "outcome", "hops", "cost", "nodes", "steps", "cliques", "nodes_explored", "rounds", "elapsed_ms", "ebf"]
 #: A search asks for at most so many objects ahead.
-MOST_AHEAD = 256
+MOST_AHEAD = 512
 
 
 class Expander:
@@ -94,16 +94,22 @@ class Expander:
 
 
 def goal_links(ex: Expander, near: DataFrame) -> DataFrame:
-    """(pair_id, node, dst, clique) of near(pair_id, node, dst), whose goal passes the hammock test.
+    """near(pair_id, node, dst, ...), whose goals pass the hammock test, with the clique of the last hop.
 
     With cliques asked for, the last hop must lie in one: the goal, the object and enough of
-    the object's candidates that are hammocks of both and of each other.
+    the object's candidates that are hammocks of both and of each other; rows without one go.
     """
     s = ex.spec
     fill = s.others - 1
     if fill == 0 or s.goal_clique == "hammock" or s.successors in ("exact", "cover"):
-        return near.select("pair_id", "node", "dst", F.sort_array(F.array("node", "dst")).alias("clique"))
+        return near.withColumn("clique", F.sort_array(F.array("node", "dst")))
     near = written(near, "near")
+    return near.join(_goal_cliques(ex, near.select("pair_id", "node", "dst"), fill), ["pair_id", "node", "dst"])
+
+
+def _goal_cliques(ex: Expander, near: DataFrame, fill: int) -> DataFrame:
+    """(pair_id, node, dst, clique)."""
+    s = ex.spec
     m = min_candidates(s.others, s.b)
     cands = ex.candidates(near.select(F.col("node").alias("obj")), m)
     j = near.join(cands, near["node"] == cands["obj"]).where("nbr <> dst").select("pair_id", "node", "dst", "nbr", "crank")
@@ -126,8 +132,8 @@ def goal_links(ex: Expander, near: DataFrame) -> DataFrame:
     full = lists.join(bits, ["pair_id", "node", "crank"], "left").groupBy("pair_id", "node", "dst").agg(
         F.array_sort(F.collect_list(F.struct("crank", "nbr", F.expr("coalesce(links, 0L) | shiftleft(1L, crank - 1)").alias("links")))).alias("list"))
     combos = F.broadcast(rank_combinations(ex.ds.rel.sparkSession, m, fill))
-    t = full.join(combos, F.element_at("picks", -1) <= F.size("list")).where(F.expr("forall(picks, r -> (list[r - 1].links & mask) = mask)"))
-    best = t.groupBy("pair_id", "node", "dst").agg(F.min(F.struct("combo", F.expr("transform(picks, r -> list[r - 1].nbr)").alias("members"))).alias("x"))
+    t = full.join(combos, F.element_at("picks", -1) <= F.size("list")).where(F.expr("forall(picks, r -> (get(list, r - 1).links & mask) = mask)"))
+    best = t.groupBy("pair_id", "node", "dst").agg(F.min(F.struct("combo", F.expr("transform(picks, r -> get(list, r - 1).nbr)").alias("members"))).alias("x"))
     return best.select("pair_id", "node", "dst", F.sort_array(F.array_union("x.members", F.array("node", "dst"))).alias("clique"))
 
 
@@ -151,52 +157,51 @@ def find_paths(ds: AssocDataset, pairs: DataFrame, spec: SearchSpec, lattice: La
     pairs = written(pairs.select(F.col("pair_id").cast("long").alias("pair_id"), F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst")), "pairs")
     known = ds.objects()
     valid = pairs.join(known.withColumnRenamed("obj", "src"), "src", "left_semi").join(known.withColumnRenamed("obj", "dst"), "dst", "left_semi")
-    open_pairs = written(valid.select("pair_id", "src", "dst"), "open")
+    valid = valid.select("pair_id", "src", "dst")
 
-    def bound(rows: DataFrame) -> DataFrame:
-        """(node, dst, h) of distinct rows(node, dst)."""
+    def bounded(moves: DataFrame) -> DataFrame:
+        """moves with h, the bound of the distance from nbr to dst; each distinct pair is measured once."""
         if spec.heuristic == "zero":
-            return rows.select("node", "dst", F.lit(0.0).alias("h"))
-        ask = rows.select(F.col("node").alias("a"), F.col("dst").alias("b"))
+            return moves.withColumn("h", F.lit(0.0))
+        moves = written(moves, "moves")
+        ask = moves.select(F.col("nbr").alias("a"), F.col("dst").alias("b")).where("a <> b").distinct()
         d = mixed_distance(td, ask, t_mode=spec.t_mode).withColumnRenamed("mixed", "h") if spec.mode == "mixed" else pair_distance(ds, ask).withColumnRenamed("dist", "h")
-        return rows.join(d.select(F.col("a").alias("node"), F.col("b").alias("dst"), "h"), ["node", "dst"]).select("node", "dst", F.when(F.col("node") == F.col("dst"), 0.0).otherwise(F.col("h")).alias("h"))
+        return moves.join(d.select(F.col("a").alias("nbr"), F.col("b").alias("dst"), "h"), ["nbr", "dst"], "left").withColumn("h", F.coalesce("h", F.lit(0.0)))
 
-    want = open_pairs.where("src <> dst").select("pair_id", F.col("src").alias("node"), "dst")
-    arcs, ended = [], [written(open_pairs.where("src = dst").select(
-        "pair_id", F.lit("found").alias("outcome"), F.array("src").alias("nodes"), F.lit(0.0).alias("cost"), F.lit(0).cast("long").alias("nodes_explored"), F.lit(0).alias("rounds"), F.lit(0.0).alias("elapsed_ms")), "ended")]
+    want = valid.where("src <> dst").select("pair_id", "src", "dst", F.col("src").alias("node"))
+    same = valid.where("src = dst").select("pair_id", F.lit("found").alias("outcome"), F.array("src").alias("nodes"), F.lit(0.0).alias("cost"), F.lit(0).cast("long").alias("nodes_explored"))
+    arcs, ended = [], [same.withColumn("rounds", F.lit(0)).withColumn("elapsed_ms", F.lit(0.0))]
     rounds, ahead = 0, spec.pop
+    cols = ["pair_id", "src", "dst", "node", "nbr", "dist", "h", "clique"]
     while True:
         rounds += 1
-        want = written(want, "want")
         nxt = ex(want.select(F.col("node").alias("obj")))
-        step = [want.join(nxt, want["node"] == nxt["obj"]).select("pair_id", "node", "dst", "nbr", "dist", "clique")]
+        moves = want.join(nxt, want["node"] == nxt["obj"]).select("pair_id", "src", "dst", "node", "nbr", "dist", "clique")
         if spec.link_goal:
             near = pair_distance(ds, want.select(F.col("node").alias("a"), F.col("dst").alias("b"))).where(passes(spec.theta, spec.width))
-            near = written(want.join(near.select(F.col("a").alias("node"), F.col("b").alias("dst"), "dist"), ["node", "dst"]).select("pair_id", "node", "dst", "dist"), "near")
-            link = goal_links(ex, near.select("pair_id", "node", "dst"))
-            step.append(near.join(link.select("pair_id", "node", "clique"), ["pair_id", "node"]).select("pair_id", "node", "dst", F.col("dst").alias("nbr"), "dist", "clique"))
-        new = written(reduce(DataFrame.union, step), "moves")
+            near = want.join(near.select(F.col("a").alias("node"), F.col("b").alias("dst"), "dist"), ["node", "dst"])
+            near = goal_links(ex, near.select("pair_id", "src", "dst", "node", F.col("dst").alias("nbr"), "dist"))
+            moves = moves.union(near.select(moves.columns))
         # an expanded object without successors stays as a row, so that the replay knows it
-        bounded = new.join(bound(new.select(F.col("nbr").alias("node"), "dst").distinct()).withColumnRenamed("node", "nbr"), ["nbr", "dst"])
-        told = want.select("pair_id", "node", F.lit(None).cast("long").alias("nbr"), F.lit(0.0).alias("dist"), F.lit(0.0).alias("h"), F.lit(None).cast("array<bigint>").alias("clique"))
-        arcs.append(written(bounded.select("pair_id", "node", "nbr", "dist", "h", "clique").union(told), "arcs"))
-        everything = reduce(DataFrame.union, arcs).join(open_pairs, "pair_id")
+        told = want.select("pair_id", "src", "dst", "node", F.lit(None).cast("long").alias("nbr"), F.lit(0.0).alias("dist"), F.lit(0.0).alias("h"), F.lit(None).cast("array<bigint>").alias("clique"))
+        arcs.append(written(bounded(moves).select(*cols).union(told), "arcs"))
+        everything = reduce(DataFrame.union, arcs).join(want.select("pair_id").distinct(), "pair_id", "left_semi")
         state = written(_replayed(everything, spec, ahead), "replay")
-        late = rounds >= spec.max_rounds or time.time() - began >= spec.time_limit_s
         done = state.where("outcome <> 'want'").select("pair_id", "outcome", "nodes", "cost", "nodes_explored")
+        late = rounds >= spec.max_rounds or time.time() - began >= spec.time_limit_s
+        want = state.where("outcome = 'want'").select("pair_id", "src", "dst", "node")
         if late:
-            done = done.union(state.where("outcome = 'want'").groupBy("pair_id").agg(F.first("nodes_explored").alias("n")).select("pair_id", F.lit("budget"), F.lit(None).cast("array<bigint>"), F.lit(None).cast("double"), "n"))
-        ended.append(written(done.withColumn("rounds", F.lit(rounds)).withColumn("elapsed_ms", F.lit(round(1000 * (time.time() - began), 1))), "ended"))
-        want = state.where("outcome = 'want'").select("pair_id", "node")
+            left = state.where("outcome = 'want'").groupBy("pair_id").agg(F.first("nodes_explored").alias("n"))
+            done = done.union(left.select("pair_id", F.lit("budget"), F.lit(None).cast("array<bigint>"), F.lit(None).cast("double"), "n"))
+        ended.append(done.withColumn("rounds", F.lit(rounds)).withColumn("elapsed_ms", F.lit(round(1000 * (time.time() - began), 1))))
         if late or want.isEmpty():
             break
-        open_pairs = written(open_pairs.join(want.select("pair_id").distinct(), "pair_id"), "open")
-        want = want.join(open_pairs.select("pair_id", "dst"), "pair_id").select("pair_id", "node", "dst")
-        ahead = min(4 * ahead, MOST_AHEAD)
+        ahead = min(8 * ahead, MOST_AHEAD)
     done = reduce(DataFrame.union, ended)
     hops = done.where(F.size("nodes") > 1).select("pair_id", F.posexplode(F.expr("transform(sequence(1, size(nodes) - 1), i -> struct(nodes[i - 1] AS node, nodes[i] AS nbr))")).alias("i", "hop")).select("pair_id", "i", "hop.node", "hop.nbr")
-    arc = reduce(DataFrame.union, arcs).where("nbr IS NOT NULL").groupBy("pair_id", "node", "nbr").agg(F.min(F.struct("dist", "clique")).alias("x"))
-    walked = hops.join(arc, ["pair_id", "node", "nbr"]).groupBy("pair_id").agg(F.array_sort(F.collect_list(F.struct("i", F.col("x.dist").alias("dist"), F.col("x.clique").alias("clique")))).alias("x"))
+    arc = reduce(DataFrame.union, arcs).select("pair_id", "node", "nbr", "dist", "clique")
+    walked = hops.join(arc, ["pair_id", "node", "nbr"]).groupBy("pair_id", "i").agg(F.min(F.struct("dist", "clique")).alias("x"))
+    walked = walked.groupBy("pair_id").agg(F.array_sort(F.collect_list(F.struct("i", F.col("x.dist").alias("dist"), F.col("x.clique").alias("clique")))).alias("x"))
     out = pairs.join(done, "pair_id", "left").join(walked, "pair_id", "left")
     out = out.select(
         "pair_id", "src", "dst", F.coalesce("outcome", F.lit("no_path")).alias("outcome"), F.when(F.col("nodes").isNotNull(), F.size("nodes") - 1).alias("hops"), "cost", "nodes",
@@ -208,7 +213,7 @@ def find_paths(ds: AssocDataset, pairs: DataFrame, spec: SearchSpec, lattice: La
 
 
 def _replayed(arcs: DataFrame, spec: SearchSpec, ahead: int) -> DataFrame:
-    """(pair_id, outcome, node, nodes, cost, nodes_explored) after running each pair's search over its known arcs.
+    """(pair_id, src, dst, outcome, node, nodes, cost, nodes_explored) after running each pair's search over its known arcs.
 
     A search that pops an object whose successors are not known yet stops with rows of
     outcome 'want': that object and the best others it holds open, ``ahead`` in all.  What is
@@ -230,7 +235,7 @@ def _replayed(arcs: DataFrame, spec: SearchSpec, ahead: int) -> DataFrame:
         explored = 0
 
         def rows(outcome, wanted=(None,), nodes=None, cost=None):
-            return pd.DataFrame({"pair_id": pair, "outcome": outcome, "node": pd.array(list(wanted), "Int64"), "nodes": [nodes] * len(wanted), "cost": pd.array([cost] * len(wanted), "Float64"), "nodes_explored": explored})
+            return pd.DataFrame({"pair_id": pair, "src": src, "dst": dst, "outcome": outcome, "node": pd.array(list(wanted), "Int64"), "nodes": [nodes] * len(wanted), "cost": pd.array([cost] * len(wanted), "Float64"), "nodes_explored": explored})
 
         while heap:
             f, minus, o = heapq.heappop(heap)
@@ -264,4 +269,4 @@ def _replayed(arcs: DataFrame, spec: SearchSpec, ahead: int) -> DataFrame:
                     heapq.heappush(heap, (round(new + h[i], 9), -new, x))
         return rows("no_path")
 
-    return arcs.select("pair_id", "src", "dst", "node", "nbr", "dist", "h").groupBy("pair_id").applyInPandas(run, "pair_id long, outcome string, node long, nodes array<long>, cost double, nodes_explored long")
+    return arcs.select("pair_id", "src", "dst", "node", "nbr", "dist", "h").groupBy("pair_id").applyInPandas(run, "pair_id long, src long, dst long, outcome string, node long, nodes array<long>, cost double, nodes_explored long")

@@ -215,8 +215,9 @@ def triangles(spark, sf_dir):
     return distance.triangles(written(distance.hammock_pairs(_pbc(spark, sf_dir), theta=0.93), "edges")).select("a", "b", "c")
 
 
-@query(PAIRS + """, e AS (SELECT a, b FROM d WHERE dist <= 0.95 + 1e-12), t AS (SELECT x.a AS o, x.b, y.b AS c FROM e x JOIN e y ON x.a = y.a AND x.b < y.b)
-SELECT o, t.b, t.c, round(greatest(p.dist, q.dist, coalesce(r.dist, 1.0)), 9) AS worst, coalesce(r.dist, 1.0) <= 0.95 + 1e-12 AS ok FROM t JOIN d p ON p.a = o AND p.b = t.b JOIN d q ON q.a = o AND q.b = t.c LEFT JOIN d r ON r.a = t.b AND r.b = t.c""")
+@query(PAIRS + """, e AS MATERIALIZED (SELECT a, b, dist FROM d WHERE dist <= 0.95 + 1e-12),
+t AS MATERIALIZED (SELECT x.a AS o, x.b, y.b AS c, greatest(x.dist, y.dist) AS w FROM e x JOIN e y ON x.a = y.a AND x.b < y.b)
+SELECT o, t.b, t.c, round(greatest(w, coalesce(r.dist, 1.0)), 9) AS worst, coalesce(r.dist, 1.0) <= 0.95 + 1e-12 AS ok FROM t LEFT JOIN d r ON r.a = t.b AND r.b = t.c""")
 def clique_checks(spark, sf_dir):
     """The clique test on every object with two linked ones after it; most are no cliques."""
     ds = _kept(spark, sf_dir)

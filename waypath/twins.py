@@ -97,8 +97,9 @@ arcs AS MATERIALIZED (SELECT a, b, dist FROM near QUALIFY row_number() OVER (PAR
 def clique_paths(share: float, theta: float, m: int, b: int, targets: int, rounds: int = 16) -> str:
     """The same over the verified sets of two near neighbours; a last hop needs a candidate that is near both ends."""
     return REL_PBS + PAIR_STEPS + BOTH_STEPS + lattice(share) + LONGEST + RANKED + near_cliques(2, m, b, theta) + """,
-arcs AS MATERIALIZED (SELECT DISTINCT obj AS a, n AS b, near.dist FROM (SELECT obj, unnest([n1, n2]) AS n FROM good) JOIN near ON near.a = obj AND near.b = n),
-goals AS MATERIALIZED (SELECT n.a, n.b, n.dist FROM near n WHERE EXISTS (SELECT 1 FROM cand c JOIN near x ON x.a = c.obj AND x.b = c.nbr JOIN near y ON y.a = c.nbr WHERE c.obj = n.a AND y.b = n.b AND c.nbr <> n.b))""" + asked(theta, targets) + least(rounds)
+arcs AS MATERIALIZED (SELECT DISTINCT obj AS a, n AS b, near.dist FROM (SELECT obj, unnest([n1, n2]) AS n FROM good) JOIN near ON near.a = obj AND near.b = n)""" + asked(theta, targets) + """,
+goals AS MATERIALIZED (SELECT DISTINCT n.a, n.b, n.dist FROM (SELECT DISTINCT dst FROM pairs) p JOIN near n ON n.b = p.dst JOIN cand c ON c.obj = n.a AND c.nbr <> n.b AND c.dist <= """ + f"{theta} + 1e-12" + """
+  JOIN near y ON y.a = c.nbr AND y.b = n.b)""" + least(rounds)
 
 
 #: A relation by arithmetic, small enough for a lattice without pruning.
