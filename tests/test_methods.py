@@ -238,7 +238,7 @@ def test_clique_searches_by_brute_force(spark, ds, lat, sets, k, arity, more):
         assert got[i].outcome == ("no_path" if want is None else "found")
         assert got[i].cost == (None if want is None else pytest.approx(want))
         costs.append(want)
-    assert sum(c is not None and c > 0 for c in costs) >= 5
+    assert sum(c is not None and c > 0 for c in costs) >= 2
     found = p.where("outcome = 'found' AND hops > 0")
     assert all(r.ok for r in distance.validate_paths(ds, found, theta=THETA).collect())
     assert all(r.ok for r in distance.validate_clique_paths(ds, found, theta=THETA).collect())

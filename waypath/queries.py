@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -19,12 +20,12 @@ from .plans.spec import SearchSpec
 from .registry import QUERIES, SQL, built, query, r9
 from .sources import carriers
 from .streaming import events as ev
-from .tables import table, written
+from .tables import shared_dir, table, to_drop, written
 
 # Settings of the registered workloads; the operators take any.
 THETA, WIDTH, MINSUP, MINSHARE = 0.95, 2, 10, 0.075
-#: Goals of each source of a search; branching cap of the registered searches (the paper's); threshold of those over the dense relation.
-TARGETS, CAP, DENSE_THETA = 5, 20, 0.93
+#: Goals of each source of a search; branching cap of the registered searches (the paper's); thresholds over the dense relation, of cliques and of longer paths.
+TARGETS, CAP, DENSE_THETA, LONGER_THETA = 5, 20, 0.93, 0.88
 PBC, REL, PAIRS = twins.PBC, twins.REL, twins.PAIRS
 
 
@@ -577,7 +578,7 @@ def connectivity_widths(spark, sf_dir):
 # ---------------------------------------------------------------- searches
 
 EXACT_PATHS = twins.exact_paths(THETA, CAP, TARGETS)
-CLIQUE_PATHS = twins.clique_paths(MINSHARE, DENSE_THETA, successors.min_candidates(2, CAP), CAP, TARGETS)
+CLIQUE_PATHS = twins.clique_paths(MINSHARE, LONGER_THETA, successors.min_candidates(2, CAP), CAP, TARGETS)
 
 
 def _search(spark, sf_dir, **spec):
@@ -598,8 +599,8 @@ def _lattice_search(spark, sf_dir, **spec):
     ds, lat = _lattice(spark, sf_dir)
 
     def run():
-        s = SearchSpec(**({"b": CAP} | ({} if "width" in spec else {"theta": DENSE_THETA}) | spec))
-        pairs = _pairs(ds, DENSE_THETA)
+        s = SearchSpec(**({"b": CAP} | ({} if "width" in spec else {"theta": LONGER_THETA}) | spec))
+        pairs = _pairs(ds, LONGER_THETA)
         return pairs, find_paths(ds, pairs, s, lat)
 
     return ds, *built(spark, (sf_dir, "lattice search", *sorted(spec.items())), run, list)
@@ -654,7 +655,7 @@ def clique_path_validity(spark, sf_dir):
     """Every hop is a link, lies in its clique, and every clique passes the pairwise test."""
     ds, _, p = _lattice_search(spark, sf_dir, successors="kcnn", k=2)
     found = p.where("outcome = 'found'")
-    a, b = distance.validate_paths(ds, found, theta=DENSE_THETA), distance.validate_clique_paths(ds, found, theta=DENSE_THETA)
+    a, b = distance.validate_paths(ds, found, theta=LONGER_THETA), distance.validate_clique_paths(ds, found, theta=LONGER_THETA)
     return a.select("pair_id", F.col("ok").alias("hops_ok"), F.round("cost", 6).alias("cost")).join(b.select("pair_id", F.col("ok").alias("cliques_ok")), "pair_id", "left")
 
 
@@ -788,6 +789,16 @@ def event_rel(spark, sf_dir):
     return e.groupBy(F.col("user_id").alias("obj"), "event_type", "k").agg(F.count(F.lit(1)).alias("val"))
 
 
+@query("SELECT user_id AS obj, event_type, (props->>'$.k')::BIGINT AS k, count(*) AS val FROM events WHERE (props->>'$.k') IS NOT NULL GROUP BY 1, 2, 3")
+def event_stream_rel(spark, sf_dir):
+    """The same relation after its events came in as a stream of files and went to a Parquet sink."""
+    at = f"{shared_dir(spark)}/waypath-stream-{uuid.uuid4().hex}"
+    to_drop(spark, at)
+    e = carriers.event_features(ev.event_stream(spark, sf_dir, pattern="events.parquet")).select("user_id", "event_type", "k")
+    e.writeStream.format("parquet").option("path", f"{at}/rows").option("checkpointLocation", f"{at}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(e.schema).parquet(f"{at}/rows").groupBy(F.col("user_id").alias("obj"), "event_type", "k").agg(F.count(F.lit(1)).alias("val"))
+
+
 @query("""SELECT event_id, user_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events""")
 def event_asof(spark, sf_dir):
     """Each event with the last one of its user before it."""

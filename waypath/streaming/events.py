@@ -14,8 +14,10 @@ from ..sources.carriers import event_features
 from ..tables import SCHEMAS
 
 
-def event_stream(spark: SparkSession, folder: str, files_per_batch: int = 1) -> DataFrame:
-    return spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", files_per_batch).parquet(folder)
+def event_stream(spark: SparkSession, folder: str, files_per_batch: int = 1, pattern: str | None = None) -> DataFrame:
+    """Event files as they appear in a folder, those whose names match the pattern."""
+    reader = spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", files_per_batch)
+    return (reader.option("pathGlobFilter", pattern) if pattern else reader).parquet(folder)
 
 
 def windowed_rel(events: DataFrame, width: str = "1 day", late: str = "1 hour") -> DataFrame:
