@@ -390,3 +390,9 @@ def test_exports(spark, ds, tmp_path):
     spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
     assert "Exchange" not in plan.split("Initial Plan")[0]
     spark.sql("DROP TABLE waypath_test_rel")
+
+
+@pytest.mark.parametrize("bound", [{"theta": 0.5}, {"theta": 0.8}, {"width": 3}])
+def test_prefixes_lose_no_pair(ds, bound):
+    rows = lambda x: sorted((r.a, r.b, r.width, round(r.dist, 9)) for r in x.collect())
+    assert rows(distance.hammocks_by_prefix(ds, **bound)) == rows(distance.hammock_pairs(ds, **bound)) != []

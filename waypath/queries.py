@@ -181,6 +181,15 @@ def hammock_pairs_width(spark, sf_dir):
     return distance.hammock_pairs(_pbc(spark, sf_dir), width=3).withColumn("dist", r9("dist"))
 
 
+DOCUMENT_TERMS = f"SELECT doc_id AS obj, term AS feat, count(*)::DOUBLE AS val FROM (SELECT doc_id, unnest({TERMS}) AS term FROM documents) GROUP BY 1, 2"
+
+
+@query(twins.base(DOCUMENT_TERMS) + twins.PAIR_STEPS + " SELECT a, b, width, round(dist, 9) AS dist FROM d WHERE dist <= 0.5 + 1e-12")
+def near_documents(spark, sf_dir):
+    """Documents within 0.5 of each other, met through their rarest words only."""
+    return distance.hammocks_by_prefix(_kept(spark, sf_dir, "documents_by_terms"), theta=0.5).withColumn("dist", r9("dist"))
+
+
 @query(PAIRS + " SELECT a, b, width, round(sdist, 9) AS dist FROM d WHERE width >= 3")
 def soergel_unweighted(spark, sf_dir):
     ds = _pbc(spark, sf_dir)
