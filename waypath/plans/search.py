@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ..operators.dataset import AssocDataset
 from ..operators.distance import hammock_pairs, pair_distance, passes
 from ..operators.lattice import Lattice, build_edges, longest_concept, rank_extents
-from ..operators.successors import CoverTreeIndex, kcnn, kcnn_candidates, min_candidates, nna, nna_cliques, rank_combinations, verify_cliques
+from ..operators.successors import CoverTreeIndex, candidate_cliques, kcnn, kcnn_candidates, min_candidates, nna, rank_combinations, verify_cliques
 from ..operators.truncate import TruncatedDataset, mixed_distance, truncate
 from ..functions.columns import ebf
 from ..tables import drop_since, mark, written
@@ -42,6 +42,7 @@ class Expander:
         self.ds, self.spec, self.lattice, self.index = ds, spec, lattice, index
         self.known: DataFrame | None = None
         self.asked: DataFrame | None = None
+        self.lists: DataFrame | None = None
         if spec.successors in ("kcnn", "nna"):
             if lattice is None:
                 raise ValueError(f"{spec.successors} needs a lattice")
@@ -68,7 +69,11 @@ class Expander:
             good = kcnn(self.lattice, self.ds, objs, s.k, s.b, s.arity, s.order, s.fallback, self.ranked, self.longest, s.theta, s.width)
         else:
             # ordered by Jaccard, checked by the search's own distance
-            good = verify_cliques(self.ds, written(nna_cliques(self.lattice, self.ds, objs, s.k, s.b, s.arity, self.edges), "sets"), s.theta, s.width)
+            m = min_candidates(s.others, s.b)
+            met = nna(self.lattice, self.ds, objs, m, edges=self.edges).select("obj", "nbr", F.col("rnk").alias("crank"))
+            met = written(met, "lists")
+            self.lists = met if self.lists is None else self.lists.union(met)
+            good = verify_cliques(self.ds, written(candidate_cliques(self.ds.binary(), met, s.others, s.b, m), "sets"), s.theta, s.width)
         good = written(good, "cliques")
         one = good.select("obj", F.explode("members").alias("nbr"), "score", F.sort_array(F.array_union("members", F.array("obj"))).alias("clique"))
         one = one.groupBy("obj", "nbr").agg(F.min(F.struct("score", "clique")).alias("x")).select("obj", "nbr", F.col("x.clique").alias("clique"))
@@ -80,7 +85,7 @@ class Expander:
         s = self.spec
         if s.successors == "kcnn":
             return kcnn_candidates(self.ranked, self.longest, self.ds, objs, m, s.order, s.fallback, self.lattice)
-        return nna(self.lattice, self.ds, objs, m, edges=self.edges).select("obj", "nbr", F.col("rnk").alias("crank"))
+        return self.lists.join(objs.distinct(), "obj", "left_semi")  # met when they were expanded
 
     def __call__(self, objs: DataFrame) -> DataFrame:
         """(obj, nbr, dist, clique) of all objects asked for so far."""
@@ -131,6 +136,8 @@ def _goal_cliques(ex: Expander, near: DataFrame, fill: int) -> DataFrame:
     bits = linked.groupBy("pair_id", "node", F.col("x.i").alias("crank")).agg(F.bit_or(F.expr("shiftleft(1L, x.j - 1)")).alias("links"))
     full = lists.join(bits, ["pair_id", "node", "crank"], "left").groupBy("pair_id", "node", "dst").agg(
         F.array_sort(F.collect_list(F.struct("crank", "nbr", F.expr("coalesce(links, 0L) | shiftleft(1L, crank - 1)").alias("links")))).alias("list"))
+    # enough members must have enough links before any set of them is tried
+    full = full.where(F.size(F.filter("list", lambda x: F.bit_count(x["links"]) >= fill)) >= fill)
     combos = F.broadcast(rank_combinations(ex.ds.rel.sparkSession, m, fill))
     t = full.join(combos, F.element_at("picks", -1) <= F.size("list")).where(F.expr("forall(picks, r -> (get(list, r - 1).links & mask) = mask)"))
     best = t.groupBy("pair_id", "node", "dst").agg(F.min(F.struct("combo", F.expr("transform(picks, r -> get(list, r - 1).nbr)").alias("members"))).alias("x"))
