@@ -3,7 +3,6 @@
 import pytest
 
 from waypath import queries
-from waypath.llm.common import components
 from waypath.operators import lattice, network
 from waypath.operators.dataset import random_intersection
 from waypath.plans.spec import SearchSpec
@@ -35,8 +34,6 @@ def test_frontier_grows_with_the_table(spark):
 
 def test_unsettled_components_are_refused(spark):
     chain = [(i, i + 1) for i in range(20)]
-    with pytest.raises(RuntimeError, match="not settled"):
-        components(spark.createDataFrame(chain, "u long, v long"), 2)
     nodes = spark.range(21).withColumnRenamed("id", "obj")
     with pytest.raises(RuntimeError, match="not settled"):
         network.component_labels(nodes, spark.createDataFrame(chain, "a long, b long"), 2)

@@ -396,3 +396,12 @@ def test_exports(spark, ds, tmp_path):
 def test_prefixes_lose_no_pair(ds, bound):
     rows = lambda x: sorted((r.a, r.b, r.width, round(r.dist, 9)) for r in x.collect())
     assert rows(distance.hammocks_by_prefix(ds, **bound)) == rows(distance.hammock_pairs(ds, **bound)) != []
+
+
+def test_concepts_of_hashed_features(spark, sets):
+    """Feature ids anywhere in 64 bits, the smallest included."""
+    ids = [-(2**63), -(2**63) + 1, -(2**62) - 5, -7, 0, 3, 2**61, 2**62, 2**63 - 1, -(2**61), 11, 12, -(2**62), 99]
+    moved = {o: {ids[f]: v for f, v in fs.items()} for o, fs in sets.items()}
+    got = lattice.build_concepts(data(spark, moved), 8).concepts.collect()
+    want = {tuple(sorted(ids[f] for f in i)): len(e) for i, e in closed_sets(sets, 8).items()}
+    assert {tuple(r.intent): r.support for r in got} == want

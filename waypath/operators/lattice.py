@@ -53,7 +53,7 @@ def build_concepts(ds: AssocDataset, minsup: int | float | str, min_features: in
     rel = written(ds.rel.join(ds.frequent(n).select("feat"), "feat", "left_semi").select("obj", "feat"), "frequent")
     none = F.array().cast("array<bigint>")
     level = written(ds.objects().select(F.lit(0).cast("long").alias("cid"), "obj"), "level")
-    cores = level.groupBy("cid").agg(F.count(F.lit(1)).alias("support")).select("cid", F.lit(-(2**62)).alias("core"), none.alias("old"), "support")
+    cores = level.groupBy("cid").agg(F.count(F.lit(1)).alias("support")).select("cid", F.lit(-(2**63)).alias("core"), none.alias("old"), "support")
     found, members = [], []
     total = 0
     while True:
