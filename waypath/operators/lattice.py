@@ -72,7 +72,8 @@ def build_concepts(ds: AssocDataset, minsup: int | float | str, min_features: in
         found.append(node.select(depth, "cid", "intent", "n_feat", "support"))
         own = level.join(node.select("cid"), "cid", "left_semi")
         members.append(own.select(depth, "cid", "obj"))
-        more = counts.join(node, "cid").where((F.col("n") >= n) & (F.col("n") < F.col("support")) & (F.col("feat") > F.col("core")) & ~F.array_contains("intent", F.col("feat")))
+        beyond = F.col("feat") > F.col("core") if len(found) > 1 else F.lit(True)  # the root has no core
+        more = counts.join(node, "cid").where((F.col("n") >= n) & (F.col("n") < F.col("support")) & beyond & ~F.array_contains("intent", F.col("feat")))
         # numbers that are written are fixed: no two extensions of a level share one
         more = written(more.select("cid", F.col("feat").alias("core"), F.monotonically_increasing_id().alias("next"), F.col("intent").alias("old"), F.col("n").alias("support")), "more")
         if more.isEmpty():
