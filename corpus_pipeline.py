@@ -54,5 +54,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs
 
 
-#: Learned scores and the tokenizer are beyond SQL; tests hold run() against a plain version.
+#: Learned scores and the tokenizer are beyond SQL; tests/llm/test_plain_versions.py holds run() against a plain version.
 ORACLE_SQL = None
